@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import functions as F
 
-from vecengine.llm import bpe, language_id, token_counts
+from vecengine.llm import bpe, language_id, quality, token_counts, toxicity
 from vecengine.llm.common import crc_mod, table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -34,5 +34,13 @@ def op2_language_id(spark, sf_dir):
     return language_id.identify(docs.select("doc_id", held_out.alias("held_out"), "text"), known, keep=("held_out",))
 
 
-QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op8_token_counts)}
+def op4_toxicity(spark, sf_dir):
+    return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op9_quality(spark, sf_dir):
+    return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op4_toxicity, op8_token_counts, op9_quality)}
 ORACLE_SQL: dict[str, str] = {}
