@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import functions as F
 
-from vecengine.llm import bpe, language_id, quality, token_counts, toxicity
+from vecengine.llm import bpe, language_id, packing, quality, sharding, token_counts, toxicity
 from vecengine.llm.common import crc_mod, table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -42,5 +42,13 @@ def op9_quality(spark, sf_dir):
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op4_toxicity, op8_token_counts, op9_quality)}
+def op5_sharding(spark, sf_dir):
+    return sharding.balanced_shards(table(spark, sf_dir, "documents"))
+
+
+def op10_best_fit_packing(spark, sf_dir):
+    return packing.best_fit(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op4_toxicity, op5_sharding, op8_token_counts, op9_quality, op10_best_fit_packing)}
 ORACLE_SQL: dict[str, str] = {}
