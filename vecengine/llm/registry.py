@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import functions as F
 
-from vecengine.llm import bpe, language_id, packing, quality, sharding, token_counts, toxicity
+from vecengine.llm import bpe, language_id, near_vectors, packing, quality, sharding, token_counts, topk, toxicity
 from vecengine.llm.common import crc_mod, table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -50,5 +50,13 @@ def op10_best_fit_packing(spark, sf_dir):
     return packing.best_fit(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op4_toxicity, op5_sharding, op8_token_counts, op9_quality, op10_best_fit_packing)}
+def op6_embedding_near_dedup(spark, sf_dir):
+    return near_vectors.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
+def op7_exact_topk(spark, sf_dir):
+    return topk.threshold_topk(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
+QUERIES = {f.__name__: f for f in (op2_language_id, op3_bpe_encode_decode, op4_toxicity, op5_sharding, op6_embedding_near_dedup, op7_exact_topk, op8_token_counts, op9_quality, op10_best_fit_packing)}
 ORACLE_SQL: dict[str, str] = {}
