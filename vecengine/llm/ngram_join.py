@@ -250,14 +250,17 @@ def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, linked, num: int,
     seen = staged(named.join(mixed, "part").select("part", "rep", "comp"), "join-seen")
     members = seen.select("comp", "rep").distinct()
     sizes = members.groupBy("comp").agg(F.count("*").alias("members"))
-    placed = staged(members.join(sizes, "comp").select("comp", "rep", F.pmod(F.xxhash64("rep"), F.ceil(F.col("members") / GROUP)).alias("chunk")), "join-placed")
+    placed = staged(members.join(sizes, "comp").select("comp", "rep", F.pmod(F.xxhash64("rep"), F.ceil(F.col("members") / GROUP)).alias("chunk"), "members"), "join-placed")
     matrix = staged(
         placed.join(sets, "rep").groupBy("comp", "chunk")
         .agg(F.array_distinct(F.flatten(F.collect_list("s"))).alias("union"), F.min("n").alias("low"), F.max("n").alias("high")),
         "join-matrix",
     )
-    there = seen.join(placed, ["comp", "rep"]).select("part", F.col("comp").alias("group"), "chunk").distinct()
-    asks = seen.join(there, "part").where(F.col("comp") < F.col("group")).select("rep", "group", "chunk").distinct()
+    # Of two groups that met, the members of the smaller one ask.
+    located = seen.join(placed, ["comp", "rep"])
+    there = located.select("part", F.col("comp").alias("group"), "chunk", F.struct("members", "comp").alias("to")).distinct()
+    asking = located.select("part", "rep", F.struct("members", "comp").alias("from"))
+    asks = asking.join(there, "part").where(F.col("from") < F.col("to")).select("rep", "group", "chunk").distinct()
     asked = asks.join(sets, "rep").join(matrix.withColumnRenamed("comp", "group"), ["group", "chunk"])
     fits = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
     opened = staged(asked.where(fits).where(F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num).select(F.col("rep").alias("a"), "group", "chunk"), "join-opened")

@@ -85,23 +85,23 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     return model
 
 
-def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
+def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = (), out: str = "score") -> DataFrame:
     """(id, *keep, score) of every whole text, one row per input row; narrow.
 
     Null and empty texts count as incompressible with no difference. With
     labels of one class only, every score is that class; without labels it is 0.
     """
-    slim = docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("text"))
+    slim = docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
 
     def run(batches):
         compressors = model.compressors()
         for batch in batches:
-            found = np.array([features(compressors, t.as_py()) for t in batch.column("text")]).reshape(-1, 3)
+            found = np.array([features(compressors, t.as_py()) for t in batch.column(batch.num_columns - 1)]).reshape(-1, 3)
             cols = [batch.column(i) for i in range(batch.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(_inputs(found)))], [*batch.schema.names[:-1], "score"])
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(_inputs(found)))], [*batch.schema.names[:-1], out])
 
     kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:-1])
-    return slim.mapInArrow(run, f"{kinds}, score double")
+    return slim.mapInArrow(run, f"{kinds}, `{out}` double")
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
