@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from vecengine.functions.vectors import col, total
+from vecengine.functions.vectors import col, let, total
 
 
 def scalar_code(x, bits: int, lo, hi) -> Column:
@@ -69,8 +69,8 @@ def pvq(vec, bits: int, const: str = "f64") -> Column:
     lo, hi = F.array_min(col(vec)), F.array_max(col(vec))
     if const == "f16":
         lo, hi = half_round(lo), half_round(hi)
-    step = (hi - lo) / F.lit(float(2**bits - 1))
-    return F.struct(_codes(vec, lo, step, bits).alias("codes"), lo.alias("lo"), step.alias("step"))
+    bounds = F.struct(lo.alias("lo"), ((hi - lo) / F.lit(float(2**bits - 1))).alias("step"))
+    return let(bounds, lambda b: F.struct(_codes(vec, b["lo"], b["step"], bits).alias("codes"), b["lo"].alias("lo"), b["step"].alias("step")))
 
 
 def global_q(vec, bits: int, lo: float, hi: float) -> Column:

@@ -17,6 +17,11 @@ def col(c) -> Column:
     return F.col(c) if isinstance(c, str) else c
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is worked out once, also if a lambda inside uses it often."""
+    return F.transform(F.array(value), body)[0]
+
+
 def total(arr) -> Column:
     """Left-to-right sum of an array<double>."""
     return F.aggregate(col(arr), F.lit(0.0), lambda s, x: s + x)
@@ -48,8 +53,7 @@ def sim(a, b, kind: str = "l2") -> Column:
 
 def normalize(a) -> Column:
     """Unit length; null for the zero vector, which has no direction."""
-    n = norm(a)
-    return F.when(n > 0, F.transform(col(a), lambda x: x / n))
+    return let(F.struct(col(a).alias("a"), norm(a).alias("n")), lambda v: F.when(v["n"] > 0, F.transform(v["a"], lambda x: x / v["n"])))
 
 
 def prefix(a, d: int) -> Column:
