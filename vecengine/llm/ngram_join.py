@@ -211,7 +211,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     firsts = met.where("rep <> lead").select(F.col("rep").alias("a"), F.col("lead").alias("b")).distinct()
     edges = staged(linked(firsts), "join-edges")
     comp = components(edges)
-    more = _across(met, comp, sets, linked, num, den)
+    more = _across(met, comp, sets, num, den)
     # Rows that share an id but not a text make their classes one.
     repeated = live.join(classes.select("sig", "rep"), "sig").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     twice = live.groupBy("doc_id").agg(F.min("sig").alias("x"), F.max("sig").alias("y")).where("x <> y").select(F.col("doc_id").alias("a"))
@@ -238,34 +238,44 @@ def _common(slim: DataFrame, n: int) -> np.ndarray:
     return np.sort(found.to_numpy(np.int64).view(np.uint64))
 
 
-def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, linked, num: int, den: int) -> DataFrame:
-    """Links between different groups that met, by way of the token-group matrix."""
+def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """Links between classes that met but are not connected yet, by way of the token-group matrix.
+
+    Groups are bounded pieces of what is connected, or, of the rest, of classes
+    that met the same first class. A group is one row: its union and, behind
+    it, its members. What a query meets stays one row a group until it links.
+    """
     lead = comp.select(F.col("id").alias("lead"), F.col("comp").alias("lead_comp"))
     named = staged(
         met.join(comp, met.rep == comp.id, "left").select("part", "rep", "lead", F.coalesce("comp", "rep").alias("comp"))
-        .join(lead, "lead", "left").select("part", "rep", "comp", F.coalesce("lead_comp", "lead").alias("lead_comp")),
+        .join(lead, "lead", "left").select("part", "rep", "lead", "comp", F.coalesce("lead_comp", "lead").alias("lead_comp")),
         "join-grouped",
     )
     mixed = staged(named.where("comp <> lead_comp").select("part").distinct(), "join-mixed")
-    seen = staged(named.join(mixed, "part").select("part", "rep", "comp"), "join-seen")
-    members = seen.select("comp", "rep").distinct()
-    sizes = members.groupBy("comp").agg(F.count("*").alias("members"))
-    placed = staged(members.join(sizes, "comp").select("comp", "rep", F.pmod(F.xxhash64("rep"), F.ceil(F.col("members") / GROUP)).alias("chunk"), "members"), "join-placed")
-    matrix = staged(
-        placed.join(sets, "rep").groupBy("comp", "chunk")
-        .agg(F.array_distinct(F.flatten(F.collect_list("s"))).alias("union"), F.min("n").alias("low"), F.max("n").alias("high")),
-        "join-matrix",
-    )
-    # Of two groups that met, the members of the smaller one ask.
-    located = seen.join(placed, ["comp", "rep"])
-    there = located.select("part", F.col("comp").alias("group"), "chunk", F.struct("members", "comp").alias("to")).distinct()
-    asking = located.select("part", "rep", F.struct("members", "comp").alias("from"))
-    asks = asking.join(there, "part").where(F.col("from") < F.col("to")).select("rep", "group", "chunk").distinct()
-    asked = asks.join(sets, "rep").join(matrix.withColumnRenamed("comp", "group"), ["group", "chunk"])
+    seen = staged(named.join(mixed, "part").select("part", "rep", "comp", "lead"), "join-seen")
+    members = seen.groupBy("rep", "comp").agg(F.min("lead").alias("lead"))
+    sizes = members.groupBy("comp").agg(F.count("*").alias("size"))
+    pooled = members.join(sizes, "comp").withColumn("pure", F.col("size") >= GROUP // 4).withColumn("pool", F.when(F.col("pure"), F.col("comp")).otherwise(F.col("lead")))
+    pooled = staged(pooled.select("rep", "comp", "pool", "pure"), "join-pooled")
+    counts = pooled.groupBy("pool", "pure").agg(F.count("*").alias("all"))
+    chunk = F.pmod(F.xxhash64("rep"), F.ceil(F.col("all") / GROUP)).cast("long")
+    placed = staged(pooled.join(counts, ["pool", "pure"]).select("rep", "comp", F.struct("pool", "pure", chunk.alias("chunk")).alias("group")), "join-placed")
+    member = F.struct("rep", "comp", "n", "s")
+    matrix = placed.join(sets, "rep").groupBy("group").agg(F.collect_list(member).alias("members"), F.min("n").alias("low"), F.max("n").alias("high"))
+    matrix = staged(matrix.withColumn("union", F.array_distinct(F.flatten("members.s"))), "join-matrix")
+    located = staged(seen.join(placed.drop("comp"), "rep").select("part", "rep", "comp", "group"), "join-located")
+    there = staged(located.groupBy("part").agg(F.collect_set("group").alias("groups")), "join-there")
+    asks = located.select("part", "rep", "comp").join(there, "part").groupBy("rep", "comp").agg(F.array_distinct(F.flatten(F.collect_list("groups"))).alias("groups"))
+    asks = asks.select("rep", "comp", F.explode("groups").alias("group")).where(~(F.col("group.pure") & (F.col("group.pool") == F.col("comp"))))
+    asked = staged(asks, "join-asks").join(sets, "rep").join(matrix, "group")
     fits = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
-    opened = staged(asked.where(fits).where(F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num).select(F.col("rep").alias("a"), "group", "chunk"), "join-opened")
-    pairs = opened.join(placed.select(F.col("comp").alias("group"), "chunk", F.col("rep").alias("b")), ["group", "chunk"]).select("a", "b").distinct()
-    return linked(pairs)
+    opened = asked.where(fits & (F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num))
+
+    def links(m):
+        near = (F.least(m["n"], F.col("n")) * den >= F.greatest(m["n"], F.col("n")) * num)
+        return (m["comp"] > F.col("comp")) & near & (F.size(F.array_intersect(m["s"], F.col("s"))) * F.lit(den + num) >= (m["n"] + F.col("n")) * num)
+
+    return opened.select(F.col("rep").alias("a"), F.explode(F.transform(F.filter("members", links), lambda m: m["rep"])).alias("b"))
 
 
 def keep_one(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
