@@ -134,11 +134,9 @@ class Parts:
 
 
 def _longs(arrays: list) -> pa.Array:
-    """Lists of 64-bit numbers; None stays null."""
-    sizes = np.array([0 if a is None else len(a) for a in arrays], np.int64)
-    flat = np.concatenate([np.empty(0, np.int64), *(a.view(np.int64) for a in arrays if a is not None)])
-    offsets = pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32), mask=np.array([a is None for a in arrays] + [False]))
-    return pa.ListArray.from_arrays(offsets, pa.array(flat))
+    """Lists of 64-bit numbers."""
+    offsets = np.concatenate(([0], np.cumsum([len(a) for a in arrays]))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([np.empty(0, np.uint64), *arrays]).view(np.int64)))
 
 
 def _sets(n: int):
@@ -154,23 +152,30 @@ def _sets(n: int):
     return run
 
 
-def _described(n: int, num: int, den: int, common: np.ndarray):
+def _described(n: int):
     def run(batches):
-        words, parts, done = _Words(), Parts(num, den, common), set()
+        words = _Words()
+        for batch in batches:
+            sizes, sigs = [], []
+            for t in batch.column(1):
+                s = shingles(t.as_py(), n, words)
+                sizes.append(len(s))
+                sigs.append(xxhash.xxh3_128_digest(s.tobytes()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary())], ["doc_id", "n", "sig"])
+
+    return run
+
+
+def _parted(n: int, num: int, den: int, common: np.ndarray):
+    def run(batches):
+        words, parts = _Words(), Parts(num, den, common)
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                sizes, sigs, found = [], [], []
-                for t in part.column(1):
-                    s = shingles(t.as_py(), n, words)
-                    sig = xxhash.xxh3_128_digest(s.tobytes())
-                    sizes.append(len(s))
-                    sigs.append(sig)
-                    # A copy that this task has seen leaves its parts out.
-                    found.append(parts.signatures(s) if len(s) and sig not in done else None)
-                    if len(done) < 1_000_000:
-                        done.add(sig)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), _longs(found)], ["doc_id", "n", "sig", "parts"])
+                chunk = batch.slice(at, 500)
+                found = [parts.signatures(s) if len(s := shingles(t.as_py(), n, words)) else s for t in chunk.column(1)]
+                sizes = np.array([len(f) for f in found], np.int64)
+                flat = np.concatenate([np.empty(0, np.uint64), *found]).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(chunk.column(0).to_numpy(zero_copy_only=False), sizes), pa.int64()), pa.array(flat)], ["rep", "part"])
 
     return run
 
@@ -186,14 +191,16 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     common = _common(slim, n)
-    described = slim.mapInArrow(_described(n, num, den, common), "doc_id long, n long, sig binary, parts array<long>")
-    rows = staged(described, "join-rows")
+    rows = staged(slim.mapInArrow(_described(n), "doc_id long, n long, sig binary"), "join-rows")
     live = rows.where("n > 0 and doc_id is not null")
-    classes = staged(live.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"), F.first("parts", ignorenulls=True).alias("parts")), "join-classes")
+    classes = staged(live.groupBy("sig").agg(F.min("doc_id").alias("rep")), "join-classes")
+    # Parts of one text a class: the texts are read again, so that no parts of copies are moved.
+    reps = classes.select("rep")
+    first = F.broadcast(reps) if reps.count() <= BROADCAST_ROWS else reps
+    parts = slim.join(first, slim.doc_id == first["rep"], "left_semi").mapInArrow(_parted(n, num, den, common), "rep long, part long")
     bucket = Window.partitionBy("part")
     met = (
-        classes.select("rep", F.explode("parts").alias("part"))
-        .withColumn("lead", F.min("rep").over(bucket)).withColumn("last", F.max("rep").over(bucket))
+        parts.withColumn("lead", F.min("rep").over(bucket)).withColumn("last", F.max("rep").over(bucket))
         .where("lead <> last").select("part", "rep", "lead")
     )
     met = staged(met, "join-met")
