@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from vecengine.functions.pack import pack_bits
 
@@ -24,7 +25,7 @@ def register(spark: SparkSession) -> None:
     spark.udf.register("vec_mean", vec_mean)
 
 
-@F.pandas_udf("struct<code: binary, lo: double, step: double>")
+@F.pandas_udf(T.StructType([T.StructField("code", T.BinaryType()), T.StructField("lo", T.DoubleType()), T.StructField("step", T.DoubleType())]))
 def pvq_pack(vec: pd.Series, bits: pd.Series) -> pd.DataFrame:
     """Centered vectors as packed codes and their constants."""
     rows = []
@@ -36,7 +37,7 @@ def pvq_pack(vec: pd.Series, bits: pd.Series) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["code", "lo", "step"])
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_mean(vec: pd.Series) -> list[float]:
     """Mean of the vectors of a group. It has no partial step: sum by task first where groups are large."""
     return np.stack(vec.to_numpy()).mean(axis=0).tolist()
