@@ -77,9 +77,9 @@ def exact_knn(db: DataFrame, q: DataFrame, k: int, kind: str = "l2") -> DataFram
     else:
         blocks = -(-shape["m"] // QUERY_BLOCK)
         n_row_blocks = max(1, rows.count() // 65_536)
-        spread = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+        spread = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
         left = rows.select("id", "vec", F.lit(0).alias("side"), F.pmod(F.xxhash64("id"), F.lit(n_row_blocks)).alias("rb"), spread(blocks).alias("qb"))
-        right = asks.select(F.col("qid").alias("id"), "vec", F.lit(1).alias("side"), spread(n_row_blocks).cast("long").alias("rb"), F.pmod(F.xxhash64("qid"), F.lit(blocks)).cast("int").alias("qb"))
+        right = asks.select(F.col("qid").alias("id"), "vec", F.lit(1).alias("side"), spread(n_row_blocks).alias("rb"), F.pmod(F.xxhash64("qid"), F.lit(blocks)).alias("qb"))
 
         def meet(t: pa.Table) -> pa.Table:
             side = t.column("side").to_numpy() == 0
