@@ -45,12 +45,14 @@ def sampled(rows: DataFrame, n: int) -> DataFrame:
 class Logistic:
     """Ridge-damped logistic regression on a few standardized features."""
 
-    def __init__(self, x, y, l2: float = 1e-3, weight_ones: float = 1.0, steps: int = 60):
-        x, y = np.asarray(x, float).reshape(len(y), -1), np.asarray(y, float)
+    def __init__(self, x, y, l2: float = 1e-3, weight_ones: float = 1.0, steps: int = 60, unknown: float = 0.0):
+        """With ones or zeros only, that is the answer; without rows, ``unknown``."""
+        y = np.asarray(y, float)
         self.constant = None
         if not len(y) or y.min() == y.max():
-            self.constant = float(y[0]) if len(y) else 0.0
+            self.constant = float(y[0]) if len(y) else unknown
             return
+        x = np.asarray(x, float).reshape(len(y), -1)
         self.mean, self.scale = x.mean(0), x.std(0) + 1e-9
         z = np.column_stack([np.ones(len(x)), (x - self.mean) / self.scale])
         w, weight = np.zeros(z.shape[1]), np.where(y > 0, weight_ones, 1.0)

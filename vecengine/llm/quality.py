@@ -81,7 +81,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     model = Model(_dictionary(texts[1]), _dictionary(texts[0]))
     sample = sampled(labelled(docs, labels, label, fold(3, 4), id_col, text_col), CALIBRATION_ROWS)
     got = sample.mapInArrow(_featured(model, ["y"]), "y int, a double, b double, c double").toPandas()
-    model.calibrator = Logistic(_inputs(got[["a", "b", "c"]].to_numpy().reshape(-1, 3)), got["y"].to_numpy())
+    model.calibrator = Logistic(_inputs(got[["a", "b", "c"]].to_numpy().reshape(-1, 3)), got["y"].to_numpy(), unknown=1.0)
     return model
 
 
@@ -89,7 +89,8 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     """(id, *keep, score) of every whole text, one row per input row; narrow.
 
     Null and empty texts count as incompressible with no difference. With
-    labels of one class only, every score is that class; without labels it is 0.
+    labels of one class only, every score is that class; without labels it is 1:
+    nothing is known against a text.
     """
     slim = docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
 
