@@ -83,9 +83,10 @@ def near_vectors(db: DataFrame, threshold: float = 0.95, id_col: str = "vec_id",
     bits, bands = plan(n, threshold)
 
     def keyed(batches):
-        coder = Coder(d, bits, bands)
+        coder = None
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
+                coder = coder or Coder(d, bits, bands)
                 part = batch.slice(at, 512)
                 keys = coder.keys(_unit(part.column(1), d))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(np.arange(0, keys.size + 1, bands, dtype=np.int32), pa.array(keys.ravel()))], ["rep", "keys"])
@@ -104,8 +105,9 @@ def near_vectors(db: DataFrame, threshold: float = 0.95, id_col: str = "vec_id",
     sorted_rows = loaded.select(*group, "blk", "rep", "m", "vec", "keys").repartition(*group).sortWithinPartitions(*group, "rep")
 
     def compare(batches):
-        coder, tail = Coder(d, bits, bands), None
+        coder, tail = None, None
         for batch in batches:
+            coder = coder or Coder(d, bits, bands)
             whole = pa.Table.from_batches([batch] if tail is None else [tail, batch]).combine_chunks()
             names = [whole.column(c).to_numpy() for c in group]
             # The last group may go on in the next batch.
