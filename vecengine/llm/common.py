@@ -9,7 +9,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_written: list[tuple[SparkSession, str]] = []
+_written: list[tuple[SparkSession, str, DataFrame]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -35,19 +35,37 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    _written.append((spark, path, back))
+    return back
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete staged tables that only finished steps have read.
+
+    A collection on the driver then lets Spark's cleaner remove the shuffle
+    files of those steps as well.
+    """
+    gone = [w for w in _written if any(w[2] is t for t in tables)]
+    _written[:] = [w for w in _written if not any(w is g for g in gone)]
+    for spark, path, _ in gone:
+        _delete(spark, path)
+    if gone:
+        gone[0][0]._jvm.System.gc()
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def release(keep: int = 0) -> None:
     """Delete the staged tables, but for the last ``keep``."""
     drop = _written[: len(_written) - keep]
     del _written[: len(drop)]
-    for spark, path in drop:
+    for spark, path, _ in drop:
         try:
-            jvm = spark._jvm
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+            _delete(spark, path)
         except Exception:  # the session may be gone: its folder goes with it
             return
 
@@ -78,6 +96,7 @@ def components(edges: DataFrame) -> DataFrame:
         "cc-edges",
     )
     labels = staged(both.groupBy(F.col("a").alias("id")).agg(F.least(F.min("b"), F.first("a")).alias("comp")), "cc-labels")
+    old = [labels]
     while True:
         heard = both.join(labels, both.b == labels.id).groupBy(both.a.alias("id")).agg(F.min("comp").alias("near"))
         step = labels.join(heard, "id", "left").select("id", F.col("comp").alias("old"), F.least("comp", "near").alias("comp"))
@@ -87,6 +106,8 @@ def components(edges: DataFrame) -> DataFrame:
             .select("id", "old", F.least(F.col("comp"), F.col("root")).alias("comp")),
             "cc-labels",
         )
-        labels = new.select("id", "comp")
+        discard(*old)
+        labels, old = new.select("id", "comp"), [new]
         if new.where("comp <> old").limit(1).count() == 0:
+            discard(both)
             return labels

@@ -1,8 +1,9 @@
 """Exact Jaccard self-join of documents' word n-grams by a token-group matrix.
 
 Documents with equal sets form a class. Two sets that are similar enough differ
-in so few shingles that, of a fixed partition of all shingles into parts, some
-part holds the same of both; classes meet in the buckets of such parts. Within
+in so few shingles that, of a fixed partition of all shingles into parts,
+several parts hold the same of both; classes meet in the buckets of such parts,
+and one that meets others in fewer buckets than a link needs is left out. Within
 a bucket, each class is compared with the first one; those that link make the
 groups. The matrix holds the union of the shingles of every (bounded) group.
 Classes that met members of another group are then queries against it: the
@@ -21,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from vecengine.llm.common import components, staged
+from vecengine.llm.common import components, discard, staged
 
 #: Documents sampled to find shingles so common that they are left out of the
 #: parts, texts of the sample that make one common, and the list's bound. They
@@ -33,6 +34,10 @@ GROUP = 32
 BROADCAST_ROWS = 2_000_000
 _MEMO = 300_000
 _RARE, _ALL = (0, 1), (2, 3, 4)  # attempts: first over uncommon shingles, then over all
+#: Equal parts that a link needs, by the code in a part's low byte: four bits tell
+#: the lane (attempt and parity of the pair's class), four the place in this list.
+NEED = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64, 96, 128, 192, 256)
+_LANE, _CODE = "part & 15", "shiftrightunsigned(part, 4) & 15"
 
 
 class _Words(dict):
@@ -64,6 +69,10 @@ def shingles(text: str | None, n: int, words: dict) -> np.ndarray:
     return np.unique(_mix(out, 99))
 
 
+def _marked(hashes: np.ndarray, pair: int, attempt: int, code: int) -> np.ndarray:
+    return hashes & np.uint64(0xFFFFFFFFFFFFFF00) | np.uint64(code << 4 | (pair & 1) << 3 | attempt)
+
+
 class Parts:
     """Part signatures for a threshold num/den."""
 
@@ -86,23 +95,23 @@ class Parts:
         return j
 
     @lru_cache(maxsize=None)  # noqa: B019
-    def shape(self, j: int) -> tuple[int, int]:
-        """Parts, and empty parts allowed, where the larger set of a pair is of class j.
+    def shape(self, j: int) -> tuple[int, int, int]:
+        """Parts, empty parts allowed, and the code of the equal parts needed, where the larger set of a pair is of class j.
 
         Sets of sizes a and b that link differ in at most
-        (a + b)(den - num)/(den + num) shingles, so of that many parts and 1 + e
-        more, 1 + e are equal, of which one is not empty if at most e are.
+        (a + b)(den - num)/(den + num) shingles, so of that many parts and
+        k + e more, k + e are equal, of which k are not empty if at most e are.
         """
         most = self.limits(j)[1] - 1
         differ = 2 * most * (self.den - self.num) // (self.den + self.num)
         least = max(1, self.limits(j - 1)[0])
-        e = 0
+        e, code = 0, max(i for i, k in enumerate(NEED) if k <= 1 + differ // 6)
         if differ > 1:
             for _ in range(30):
-                m = differ + 1 + e
+                m = differ + NEED[code] + e
                 empty = m * math.exp(-least / m)
                 e = max(1, math.ceil(empty + 1.5 * math.sqrt(empty)))
-        return (differ + 1 + e, e) if differ else (0, 0)
+        return (differ + NEED[code] + e, e, code) if differ else (0, 0, 0)
 
     def signatures(self, s: np.ndarray) -> np.ndarray:
         j, out = self.of(len(s)), []
@@ -112,7 +121,7 @@ class Parts:
             at[at == len(self.common)] = 0
             rare = s[self.common[at] != s]
         for pair in (j, j + 1):
-            parts, e = self.shape(pair)
+            parts, e, code = self.shape(pair)
             if not parts:
                 continue
             for attempt in (*_RARE, *_ALL):
@@ -125,11 +134,11 @@ class Parts:
                 starts = np.flatnonzero(np.concatenate(([True], place[1:] != place[:-1]))) if len(place) else place
                 if len(starts):
                     sums = np.add.reduceat(_mix(scrambled[order], 7), starts)
-                    out.append(_mix(sums ^ _mix(place[starts].astype(np.uint64), pair * 16 + attempt), 5))
+                    out.append(_marked(_mix(sums ^ _mix(place[starts].astype(np.uint64), pair * 16 + attempt), 5), pair, attempt, code))
                 if parts - len(starts) <= e:
                     break
             else:
-                out.append(_mix(np.array([pair], np.uint64), 31))
+                out.append(_marked(_mix(np.array([pair], np.uint64), 31), pair, 7, 0))
         return np.concatenate(out) if out else np.empty(0, np.uint64)
 
 
@@ -198,16 +207,19 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     reps = classes.select("rep")
     first = F.broadcast(reps) if reps.count() <= BROADCAST_ROWS else reps
     parts = slim.join(first, slim.doc_id == first["rep"], "left_semi").mapInArrow(_parted(n, num, den, common), "rep long, part long")
-    bucket = Window.partitionBy("part")
-    met = (
-        parts.withColumn("lead", F.min("rep").over(bucket)).withColumn("last", F.max("rep").over(bucket))
-        .where("lead <> last").select("part", "rep", "lead")
-    )
-    met = staged(met, "join-met")
+    bucket, lane = Window.partitionBy("part"), Window.partitionBy("rep", F.expr(_LANE))
+
+    def meeting(rows: DataFrame) -> DataFrame:
+        rows = rows.withColumn("lead", F.min("rep").over(bucket)).withColumn("last", F.max("rep").over(bucket))
+        return rows.where("lead <> last").select("part", "rep", "lead")
+
+    any_met = staged(meeting(parts).select("part", "rep"), "join-any-met")
+    enough = any_met.withColumn("c", F.count("*").over(lane)).where(F.col("c") >= _need()).select("part", "rep")
+    met = staged(meeting(enough), "join-met")
+    discard(any_met)
     needed = staged(met.select("rep").distinct(), "join-needed")
-    if needed.count() <= BROADCAST_ROWS:
-        needed = F.broadcast(needed)
-    sets = slim.join(needed, slim.doc_id == needed["rep"], "left_semi").mapInArrow(_sets(n), "doc_id long, sig binary, s array<long>")
+    asked = F.broadcast(needed) if needed.count() <= BROADCAST_ROWS else needed
+    sets = slim.join(asked, slim.doc_id == asked["rep"], "left_semi").mapInArrow(_sets(n), "doc_id long, sig binary, s array<long>")
     sets = staged(sets.dropDuplicates(["doc_id", "sig"]).select(F.col("doc_id").alias("rep"), "s", F.size("s").cast("long").alias("n")), "join-sets")
 
     def linked(pairs: DataFrame) -> DataFrame:
@@ -219,6 +231,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     edges = staged(linked(firsts), "join-edges")
     comp = components(edges)
     more = _across(met, comp, sets, num, den)
+    discard(met, needed, sets)
     # Rows that share an id but not a text make their classes one.
     repeated = live.join(classes.select("sig", "rep"), "sig").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     twice = live.groupBy("doc_id").agg(F.min("sig").alias("x"), F.max("sig").alias("y")).where("x <> y").select(F.col("doc_id").alias("a"))
@@ -245,6 +258,25 @@ def _common(slim: DataFrame, n: int) -> np.ndarray:
     return np.sort(found.to_numpy(np.int64).view(np.uint64))
 
 
+def _need():
+    """Equal parts that a link needs, from the code in a part."""
+    return F.element_at(F.array(*map(F.lit, NEED)), F.expr(_CODE).cast("int") + 1)
+
+
+def _often(batches):
+    """Groups that a query met in as many parts as a link needs; a link's parts are all of one lane."""
+    for batch in batches:
+        reps, comps, kept = [], [], [np.empty(0, np.int64)]
+        for rep, comp, need, groups in zip(*(batch.column(i) for i in range(4)), strict=True):
+            ids, times = np.unique(groups.values.to_numpy(zero_copy_only=False), return_counts=True)
+            ids = ids[times >= need.as_py()]
+            reps.append(np.full(len(ids), rep.as_py()))
+            comps.append(np.full(len(ids), comp.as_py()))
+            kept.append(ids)
+        flat = [np.concatenate([np.empty(0, np.int64), *x]).astype(np.int64) for x in (reps, comps, kept)]
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in flat], ["rep", "comp", "group"])
+
+
 def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """Links between classes that met but are not connected yet, by way of the token-group matrix.
 
@@ -266,15 +298,20 @@ def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int
     pooled = staged(pooled.select("rep", "comp", "pool", "pure"), "join-pooled")
     counts = pooled.groupBy("pool", "pure").agg(F.count("*").alias("all"))
     chunk = F.pmod(F.xxhash64("rep"), F.ceil(F.col("all") / GROUP)).cast("long")
-    placed = staged(pooled.join(counts, ["pool", "pure"]).select("rep", "comp", F.struct("pool", "pure", chunk.alias("chunk")).alias("group")), "join-placed")
+    placed = pooled.join(counts, ["pool", "pure"]).select("rep", "comp", F.when(F.col("pure"), F.col("pool")).alias("own"), F.xxhash64("pool", "pure", chunk).alias("group"))
+    placed = staged(placed, "join-placed")
+    located = staged(seen.join(placed.drop("comp"), "rep").select("part", "rep", "comp", "own", "group"), "join-located")
+    there = staged(located.groupBy("part").agg(F.collect_set(F.struct("own", "group")).alias("groups")), "join-there")
+    # A group of members that are all connected with the query has nothing to tell it.
+    others = F.transform(F.filter("groups", lambda g: g["own"].isNull() | (g["own"] != F.col("comp"))), lambda g: g["group"])
+    asks = located.select("part", "rep", "comp").join(there, "part").select("part", "rep", "comp", others.alias("groups")).where(F.size("groups") > 0)
+    asks = asks.groupBy("rep", "comp", F.expr(_LANE).alias("lane"), _need().alias("need")).agg(F.flatten(F.collect_list("groups")).alias("groups"))
+    asks = asks.select("rep", "comp", "need", "groups").mapInArrow(_often, "rep long, comp long, group long").distinct()
+    asks = staged(asks, "join-asks")
     member = F.struct("rep", "comp", "n", "s")
-    matrix = placed.join(sets, "rep").groupBy("group").agg(F.collect_list(member).alias("members"), F.min("n").alias("low"), F.max("n").alias("high"))
-    matrix = staged(matrix.withColumn("union", F.array_distinct(F.flatten("members.s"))), "join-matrix")
-    located = staged(seen.join(placed.drop("comp"), "rep").select("part", "rep", "comp", "group"), "join-located")
-    there = staged(located.groupBy("part").agg(F.collect_set("group").alias("groups")), "join-there")
-    asks = located.select("part", "rep", "comp").join(there, "part").groupBy("rep", "comp").agg(F.array_distinct(F.flatten(F.collect_list("groups"))).alias("groups"))
-    asks = asks.select("rep", "comp", F.explode("groups").alias("group")).where(~(F.col("group.pure") & (F.col("group.pool") == F.col("comp"))))
-    asked = staged(asks, "join-asks").join(sets, "rep").join(matrix, "group")
+    matrix = placed.join(asks.select("group").distinct(), "group", "left_semi").join(sets, "rep").groupBy("group").agg(F.collect_list(member).alias("members"), F.min("n").alias("low"), F.max("n").alias("high"))
+    matrix = matrix.withColumn("union", F.array_distinct(F.flatten("members.s")))
+    asked = asks.join(sets, "rep").join(matrix, "group")
     fits = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
     opened = asked.where(fits & (F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num))
 
@@ -282,7 +319,9 @@ def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int
         near = (F.least(m["n"], F.col("n")) * den >= F.greatest(m["n"], F.col("n")) * num)
         return (m["comp"] > F.col("comp")) & near & (F.size(F.array_intersect(m["s"], F.col("s"))) * F.lit(den + num) >= (m["n"] + F.col("n")) * num)
 
-    return opened.select(F.col("rep").alias("a"), F.explode(F.transform(F.filter("members", links), lambda m: m["rep"])).alias("b"))
+    found = staged(opened.select(F.col("rep").alias("a"), F.explode(F.transform(F.filter("members", links), lambda m: m["rep"])).alias("b")), "join-across")
+    discard(named, mixed, seen, pooled, placed, located, there, asks)
+    return found
 
 
 def keep_one(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
