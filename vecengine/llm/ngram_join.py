@@ -32,7 +32,7 @@ SAMPLE, COMMON, COMMON_LIST = 4_000, 4, 200_000
 GROUP = 32
 #: Rows of ids up to which they are broadcast.
 BROADCAST_ROWS = 2_000_000
-_MEMO = 300_000
+_MEMO = 60_000
 _RARE, _ALL = (0, 1), (2, 3, 4)  # attempts: first over uncommon shingles, then over all
 #: Equal parts that a link needs, by the code in a part's low byte: four bits tell
 #: the lane (attempt and parity of the pair's class), four the place in this list.
@@ -152,8 +152,8 @@ def _sets(n: int):
     def run(batches):
         words = _Words()
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
+            for at in range(0, batch.num_rows, 100):
+                part = batch.slice(at, 100)
                 sets = [shingles(t.as_py(), n, words) for t in part.column(1)]
                 sigs = [xxhash.xxh3_128_digest(s.tobytes()) for s in sets]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sigs, pa.binary()), _longs(sets)], ["doc_id", "sig", "s"])
@@ -179,8 +179,8 @@ def _parted(n: int, num: int, den: int, common: np.ndarray):
     def run(batches):
         words, parts = _Words(), Parts(num, den, common)
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                chunk = batch.slice(at, 500)
+            for at in range(0, batch.num_rows, 100):
+                chunk = batch.slice(at, 100)
                 found = [parts.signatures(s) if len(s := shingles(t.as_py(), n, words)) else s for t in chunk.column(1)]
                 sizes = np.array([len(f) for f in found], np.int64)
                 flat = np.concatenate([np.empty(0, np.uint64), *found]).view(np.int64)
