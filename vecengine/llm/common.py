@@ -9,6 +9,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Rows and bytes of an Arrow batch: what a task holds on both sides of the pipe to Python.
+BATCH_ROWS, BATCH_BYTES = 1_000, 8 << 20
 _written: list[tuple[SparkSession, str, DataFrame]] = []
 
 
@@ -73,6 +75,15 @@ def release(keep: int = 0) -> None:
 atexit.register(release)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Bound the session's Arrow batches; smaller bounds that are set stay."""
+    for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        key = f"spark.sql.execution.arrow.{key}"
+        now = spark.conf.get(key).rstrip("b")
+        if not now.isdigit() or not 0 < int(now) <= most:
+            spark.conf.set(key, str(most))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from vecengine.llm.common import components, discard, staged
+from vecengine.llm.common import components, discard, small_batches, staged
 
 #: Documents sampled to find shingles so common that they are left out of the
 #: parts, texts of the sample that make one common, and the list's bound. They
@@ -198,6 +198,7 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     (their component is null). Rows that repeat an id with other texts join
     what each of their texts links. An empty table gives an empty result.
     """
+    small_batches(docs.sparkSession)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     common = _common(slim, n)
     rows = staged(slim.mapInArrow(_described(n), "doc_id long, n long, sig binary"), "join-rows")

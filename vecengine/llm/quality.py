@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecengine.llm.calibrate import CALIBRATION_ROWS, Logistic, fold, held_out, labelled, sampled
+from vecengine.llm.common import small_batches
 
 #: Labelled rows of each class, and bytes of each, from which a dictionary is built.
 DICTIONARY_ROWS, DICTIONARY_ROW_BYTES = 4_000, 1 << 16
@@ -76,6 +77,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     Both use bounded samples: DICTIONARY_ROWS rows of each class of at most
     DICTIONARY_ROW_BYTES bytes, and CALIBRATION_ROWS rows.
     """
+    small_batches(docs.sparkSession)
     train = labelled(docs, labels, label, fold(1, 2), id_col, text_col).where(F.octet_length("text").between(1, DICTIONARY_ROW_BYTES))
     texts = {y: [r["text"] for r in sampled(train.where(F.col("y") == y), DICTIONARY_ROWS).select("text").collect()] for y in (1, 0)}
     model = Model(_dictionary(texts[1]), _dictionary(texts[0]))
@@ -92,16 +94,21 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     labels of one class only, every score is that class; without labels it is 1:
     nothing is known against a text.
     """
-    slim = docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
+    small_batches(docs.sparkSession)
+    # A text that is kept anyway goes to Python once.
+    kept = text_col in keep and dict(docs.dtypes)[text_col] == "string"
+    slim = docs.select(F.col(id_col), *keep) if kept else docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
+    width = len(keep) + 1
+    at = 1 + keep.index(text_col) if kept else width
 
     def run(batches):
         compressors = model.compressors()
         for batch in batches:
-            found = np.array([features(compressors, t.as_py()) for t in batch.column(batch.num_columns - 1)]).reshape(-1, 3)
-            cols = [batch.column(i) for i in range(batch.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(_inputs(found)))], [*batch.schema.names[:-1], out])
+            found = np.array([features(compressors, t.as_py()) for t in batch.column(at)]).reshape(-1, 3)
+            cols = [batch.column(i) for i in range(width)]
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(_inputs(found)))], [*batch.schema.names[:width], out])
 
-    kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:-1])
+    kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:width])
     return slim.mapInArrow(run, f"{kinds}, `{out}` double")
 
 

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecengine.llm.calibrate import CALIBRATION_ROWS, Logistic, fold, held_out, labelled, sampled
-from vecengine.llm.common import staged
+from vecengine.llm.common import small_batches, staged
 
 WORDS = re.compile(r"[^\W\d_]+").findall
 #: Words with an id of their own, and bigrams kept in the model: its size is bounded.
@@ -122,6 +122,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     driver gets the VOCABULARY most common words and the BIGRAMS bigrams that
     tell most, so the model's size does not depend on the corpus.
     """
+    small_batches(docs.sparkSession)
     train = labelled(docs, labels, label, fold(1, 2, 3), id_col, text_col).select("text", "y")
     by_class = [F.sum(F.when(F.col("y") == y, F.col("n")).otherwise(0)).alias(f"n{y}") for y in (0, 1)]
     words = train.mapInArrow(_word_counts, "word long, y int, n long").groupBy("word").agg(*by_class)
@@ -184,16 +185,21 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     Null and empty texts have ratio 0. With labels of one class only, every
     score is that class; without labels it is 0.
     """
-    slim = docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
+    small_batches(docs.sparkSession)
+    # A text that is kept anyway goes to Python once.
+    kept = text_col in keep and dict(docs.dtypes)[text_col] == "string"
+    slim = docs.select(F.col(id_col), *keep) if kept else docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
+    width = len(keep) + 1
+    at = 1 + keep.index(text_col) if kept else width
 
     def run(batches):
         ids = _Ids(model.hashes)
         for batch in batches:
-            found = np.array([model.features(ids, t.as_py()) for t in batch.column(batch.num_columns - 1)]).reshape(-1, 3)
-            cols = [batch.column(i) for i in range(batch.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(found))], [*batch.schema.names[:-1], out])
+            found = np.array([model.features(ids, t.as_py()) for t in batch.column(at)]).reshape(-1, 3)
+            cols = [batch.column(i) for i in range(width)]
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(found))], [*batch.schema.names[:width], out])
 
-    kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:-1])
+    kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:width])
     return slim.mapInArrow(run, f"{kinds}, `{out}` double")
 
 
