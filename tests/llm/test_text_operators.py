@@ -97,6 +97,26 @@ def test_classifiers_on_held_out_rows(spark, module, label):
     assert (held.predicted == held.doc_id.map(want)).mean() > 0.95 and got.score.between(0, 1).all()
 
 
+def test_toxicity_counts_words_of_few_texts(spark):
+    # Each bad word and each other rare word is in four texts at most, so in fewer than five training texts.
+    d, marks = labelled(spark, 300, "", "toxic")
+    letters = str.maketrans("0123456789", "abcdefghij")
+    rare = [(r.doc_id, f"{r.text} " + f"{'z' if r.doc_id % 3 else 'q'}{r.doc_id % (75 if r.doc_id % 3 == 0 else 74)} ".translate(letters) * 3) for r in d.collect()]
+    rare = spark.createDataFrame(rare, "doc_id long, text string")
+    got = toxicity.classify(rare, marks).toPandas()
+    want = marks.toPandas().set_index("doc_id")["toxic"]
+    held = got[got.held_out]
+    assert (held.predicted == held.doc_id.map(want)).mean() > 0.85
+
+
+def test_toxicity_model_grows_with_its_words(spark):
+    letters = str.maketrans("0123456789", "abcdefghij")
+    texts = [" ".join(f"w{i * 150 + j}".translate(letters) for j in range(150)) for i in range(600)]
+    model = toxicity.fit(docs(spark, texts, True), spark.range(600).selectExpr("id AS doc_id", "cast(id % 2 AS int) AS toxic"))
+    trained = [i for i in range(600) if zlib.crc32(str(i).encode()) % 5 in (1, 2, 3)]
+    assert model.words == model.bigrams == 150 * len(trained) > 1 << 15
+
+
 @pytest.mark.parametrize("module", [toxicity, quality])
 def test_classifiers_without_labels_and_with_odd_texts(spark, module):
     label = "toxic" if module is toxicity else "quality"

@@ -19,168 +19,199 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecengine.llm.calibrate import CALIBRATION_ROWS, Logistic, fold, held_out, labelled, sampled
-from vecengine.llm.common import small_batches, staged
+from vecengine.llm.common import discard, small_batches, staged
 
 WORDS = re.compile(r"[^\W\d_]+").findall
-#: Words with an id of their own, and bigrams kept in the model: its size is bounded.
-VOCABULARY, BIGRAMS = 1 << 15, 100_000
-#: Texts that must hold a word, and times a bigram must occur; rarer ones have only the shared level.
-LEAST = 5
 DISCOUNT, WINDOW = 0.75, 12
+#: Rows of a block, as a power of two: a block's n-grams are looked up together, each once.
+BLOCK_BITS = 9
+#: The history of a text's first word, and what tells a history's key from the word's.
+START, HISTORY = -0x61C8864680B583EB, 0x2545F4914F6CDD1D
+#: A bigram's key is the history's hash, turned by so many bits, xor the word's.
+TURN = 23
+#: Values of Model.evidence from which the calibration fold chooses.
+EVIDENCE = (1.0, 3.0, 10.0, 30.0, 100.0)
 _MEMO = 400_000
+_COUNTS = ("a", "b", "c", "d")
 
 
-class _Ids(dict):
-    """Word to place in a sorted table of hashes; 0 for any other word."""
-
-    def __init__(self, hashes: np.ndarray):
-        super().__init__()
-        self.hashes = hashes
+class _Hashes(dict):
+    """Word to its 64-bit hash; bounded."""
 
     def __missing__(self, word: str) -> int:
         if len(self) >= _MEMO:
             self.clear()
-        h = _hash(word)
-        at = int(np.searchsorted(self.hashes, h))
-        out = self[word] = at + 1 if at < len(self.hashes) and self.hashes[at] == h else 0
+        out = self[word] = xxhash.xxh3_64_intdigest(word) - (1 << 63)
         return out
 
 
-def _hash(word: str) -> int:
-    return xxhash.xxh3_64_intdigest(word) - (1 << 63)
+def _hashed(memo: _Hashes, text: str | None) -> np.ndarray:
+    words = WORDS((text or "").lower())
+    return np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
+
+
+def _ngrams(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(history, word, bigram key) of all words of the texts, one after the other."""
+    w = np.concatenate([np.empty(0, np.int64), *texts])
+    h = np.concatenate(([START], w[:-1])) if len(w) else w
+    begins = np.cumsum([0, *map(len, texts)])[:-1]
+    h[begins[begins < len(w)]] = START
+    turned = h.view(np.uint64)
+    turned = turned << np.uint64(TURN) | turned >> np.uint64(64 - TURN)
+    return h, w, (turned ^ w.view(np.uint64)).view(np.int64)
 
 
-def _word_counts(batches):
-    """(word, class, texts that hold it) summed per batch."""
+def _bigram_counts(batches):
+    """(history, word, times by class) summed per batch."""
+    memo = _Hashes()
     for batch in batches:
-        for y in (0, 1):
-            counts: dict[str, int] = {}
-            for text, mine in zip(batch.column(0), batch.column(1), strict=True):
-                if mine.as_py() == y:
-                    for w in set(WORDS((text.as_py() or "").lower())):
-                        counts[w] = counts.get(w, 0) + 1
-            hashes = np.fromiter(map(_hash, counts), np.int64, len(counts))
-            yield pa.RecordBatch.from_arrays([pa.array(hashes), pa.array([y] * len(counts), pa.int32()), pa.array(list(counts.values()), pa.int64())], ["word", "y", "n"])
-
-
-def _bigram_counts(hashes: np.ndarray):
-    def run(batches):
-        ids = _Ids(hashes)
-        for batch in batches:
-            for y in (0, 1):
-                keys = [np.empty(0, np.int64)]
-                for text, mine in zip(batch.column(0), batch.column(1), strict=True):
-                    if mine.as_py() == y:
-                        keys.append(_pairs(_ids(ids, text.as_py())))
-                codes, n = np.unique(np.concatenate(keys), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(codes >> 20), pa.array(codes & 0xFFFFF), pa.array([y] * len(codes), pa.int32()), pa.array(n.astype(np.int64))], ["h", "w", "y", "n"])
-
-    return run
-
-
-def _ids(ids: _Ids, text: str | None) -> np.ndarray:
-    words = WORDS((text or "").lower())
-    return np.fromiter(map(ids.__getitem__, words), np.int64, len(words))
+        texts = [_hashed(memo, t.as_py()) for t in batch.column(0)]
+        h, w, k = _ngrams(texts)
+        k, at, which = np.unique(k, return_index=True, return_inverse=True)
+        ones = np.bincount(which, np.repeat(batch.column(1).to_numpy(), list(map(len, texts))), len(k)).astype(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[at], w[at], np.bincount(which, minlength=len(k)) - ones, ones)], ["h", "w", "n0", "n1"])
 
 
-def _pairs(w: np.ndarray) -> np.ndarray:
-    """Bigram keys; the text's start has no history: place VOCABULARY + 1."""
-    h = np.concatenate(([VOCABULARY + 1], w[:-1])) if len(w) else w
-    return h << 20 | w
+def _block_keys(batches):
+    """(block, key) of the distinct words, histories and bigrams of each block."""
+    memo = _Hashes()
+    for batch in batches:
+        blocks = batch.column(0).to_numpy()
+        for block in np.unique(blocks):
+            h, w, k = _ngrams([_hashed(memo, batch.column(1)[int(i)].as_py()) for i in np.flatnonzero(blocks == block)])
+            keys = np.concatenate((np.unique(w), np.unique(h) ^ HISTORY, np.unique(k)))
+            for at in range(0, len(keys), 100_000):
+                part = keys[at : at + 100_000]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block)), pa.array(part)], ["__block", "__key"])
 
 
 @dataclass
 class Model:
-    hashes: np.ndarray      # of the words with ids 1..
-    word: np.ndarray        # log ratio of the class unigram levels, by id
-    back: np.ndarray        # log ratio of the back-off weights, by history
-    keys: np.ndarray        # bigrams with a log ratio of their own
-    ratio: np.ndarray
+    #: (key, a, b, c, d), keys unique. Bigrams: times by class. Words: times by class, histories. Histories: times and followers by class.
+    counts: DataFrame
+    times: tuple[int, int]     # words of the training texts, by class
+    kinds: tuple[int, int]     # distinct words, by class
+    bigrams: int               # distinct, of both classes
+    words: int
+    #: Occurrences at which an n-gram's own ratio counts by half.
+    evidence: float = 1.0
     calibrator: Logistic | None = None
 
-    def features(self, ids: _Ids, text: str | None) -> tuple[float, float, float]:
-        """Mean log ratio, the best window's mean, and the best word's."""
-        w = _ids(ids, text)
-        if not len(w):
-            return 0.0, 0.0, 0.0
-        keys = _pairs(w)
-        ratio = self.back[keys >> 20] + self.word[w]
-        at = np.searchsorted(self.keys, keys)
-        at[at == len(self.keys)] = 0
-        if len(self.keys):
-            hit = self.keys[at] == keys
-            ratio[hit] = self.ratio[at[hit]]
-        sums = np.concatenate(([0.0], np.cumsum(ratio)))
-        size = min(WINDOW, len(w))
-        return float(ratio.mean()), float((sums[size:] - sums[:-size]).max() / size), float(ratio.max())
+
+class _Ratios:
+    """Log ratios of n-grams from the counts that a block needs."""
+
+    def __init__(self, model: Model, found: pa.Table):
+        keys, at = np.unique(found.column("key").to_numpy(), return_index=True)
+        self.keys = keys
+        # One row of zeros behind the others, for what training never saw.
+        self.rows = np.zeros((len(keys) + 1, 4))
+        self.rows[:-1] = np.column_stack([found.column(c).to_numpy()[at] for c in _COUNTS])
+        self.times, self.kinds = model.times, model.kinds
+        self.evidence = model.evidence
+        self.shared = model.bigrams + 0.5 * (model.words + 1)
+
+    def _rows(self, keys: np.ndarray) -> np.ndarray:
+        if not len(self.keys):
+            return self.rows[np.zeros(len(keys), np.int64)]
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return self.rows[np.where(self.keys[at] == keys, at, len(self.keys))]
+
+    def __call__(self, h: np.ndarray, w: np.ndarray, k: np.ndarray) -> np.ndarray:
+        word, history, pair = self._rows(w), self._rows(h ^ HISTORY), self._rows(k)
+        # Shared lowest level: in how many histories a word occurs, whatever the class.
+        shared, ones, backs, pairs = (word[:, 2] + 0.5) / self.shared, [], [], []
+        for y in (0, 1):
+            total = self.times[y]
+            one = (np.maximum(word[:, y] - DISCOUNT, 0) + DISCOUNT * self.kinds[y] * shared) / total if total else shared
+            seen = np.maximum(history[:, y], 1)
+            back = np.where(history[:, y] > 0, DISCOUNT * history[:, 2 + y] / seen, 1.0)
+            ones.append(np.log(one))
+            backs.append(np.log(back))
+            pairs.append(np.log(np.maximum(pair[:, y] - DISCOUNT, 0) / seen + back * one))
+        rare, backed = ones[1] - ones[0], backs[1] - backs[0]
+        # What few occurrences say counts by their number; none is left out.
+        own = pairs[1] - pairs[0] - rare - backed
+        return self.trust(history) * backed + self.trust(word) * rare + self.trust(pair) * own
+
+    def trust(self, rows: np.ndarray) -> np.ndarray:
+        n = rows[:, 0] + rows[:, 1]
+        return n * n / (n * n + self.evidence**2)
+
+
+def _features(ratio: np.ndarray) -> tuple[float, float, float]:
+    """Mean log ratio, the best window's mean, and the best word's."""
+    if not len(ratio):
+        return 0.0, 0.0, 0.0
+    sums = np.concatenate(([0.0], np.cumsum(ratio)))
+    size = min(WINDOW, len(ratio))
+    return float(ratio.mean()), float((sums[size:] - sums[:-size]).max() / size), float(ratio.max())
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label: str = "toxic") -> Model:
     """Fit on the labelled rows of the folds 1 to 4 (fold: crc32(id) mod 5).
 
-    Counts cover every labelled row of folds 1 to 3; fold 4 calibrates. The
-    driver gets the VOCABULARY most common words and the BIGRAMS bigrams that
-    tell most, so the model's size does not depend on the corpus.
+    Counts cover every word, history and bigram of the labelled rows of folds 1
+    to 3, and stay a table that grows with the corpus; the driver gets sums
+    only. Fold 4 calibrates and says how many
+    occurrences an n-gram needs before its own ratio counts by half.
     """
     small_batches(docs.sparkSession)
     train = labelled(docs, labels, label, fold(1, 2, 3), id_col, text_col).select("text", "y")
-    by_class = [F.sum(F.when(F.col("y") == y, F.col("n")).otherwise(0)).alias(f"n{y}") for y in (0, 1)]
-    words = train.mapInArrow(_word_counts, "word long, y int, n long").groupBy("word").agg(*by_class)
-    top = words.where(F.col("n0") + F.col("n1") >= LEAST).orderBy(F.desc(F.col("n1") * 8 + F.col("n0")), "word").limit(VOCABULARY).toPandas().sort_values("word")
-    hashes = top["word"].to_numpy(np.int64)
-    grams = staged(train.mapInArrow(_bigram_counts(hashes), "h long, w long, y int, n long").groupBy("h", "w").agg(*by_class), "kn-bigrams")
-
-    size = VOCABULARY + 2
-    heads = grams.groupBy("h").agg(*(F.sum(f"n{y}").alias(f"n{y}") for y in (0, 1)), *(F.sum((F.col(f"n{y}") > 0).cast("long")).alias(f"t{y}") for y in (0, 1))).toPandas()
-    tails = grams.groupBy("w").agg(*(F.sum(f"n{y}").alias(f"n{y}") for y in (0, 1)), F.count("*").alias("before")).toPandas()
-    # Shared lowest level: in how many histories a word occurs, whatever the class.
-    shared = np.full(size, 0.5)
-    shared[tails["w"]] += tails["before"]
-    shared /= shared.sum()
-    one, back = {}, {}
-    for y in (0, 1):
-        n = np.zeros(size)
-        n[tails["w"]] = tails[f"n{y}"]
-        total = max(n.sum(), 1.0)
-        one[y] = np.maximum(n - DISCOUNT, 0) / total + DISCOUNT * max((n > 0).sum(), 1) / total * shared if n.sum() else shared
-        back[y] = np.ones(size)
-        seen = heads[heads[f"n{y}"] > 0]
-        back[y][seen["h"]] = DISCOUNT * seen[f"t{y}"] / seen[f"n{y}"]
-        one[y][one[y] <= 0] = 1e-12
-    word, backed = np.log(one[1]) - np.log(one[0]), np.log(back[1]) - np.log(back[0])
-
-    spark = docs.sparkSession
-    stats = spark.createDataFrame([(int(i), float(one[0][i]), float(one[1][i])) for i in range(VOCABULARY + 1)], "w long, p0 double, p1 double")
-    ends = heads.rename(columns={"n0": "h0", "n1": "h1"})
-    ends["b0"], ends["b1"] = back[0][ends["h"]], back[1][ends["h"]]
-    ends = spark.createDataFrame(ends[["h", "h0", "h1", "b0", "b1"]].astype({"h": int, "h0": int, "h1": int}), "h long, h0 long, h1 long, b0 double, b1 double")
-
-    def level(y: int):
-        kept = F.greatest(F.col(f"n{y}") - DISCOUNT, F.lit(0.0)) / F.greatest(F.col(f"h{y}"), F.lit(1))
-        return F.log(kept + F.col(f"b{y}") * F.col(f"p{y}"))
-
-    # Both sides have at most VOCABULARY + 2 rows, so they may be broadcast.
-    rated = grams.where(F.col("n0") + F.col("n1") >= LEAST).join(F.broadcast(stats), "w").join(F.broadcast(ends), "h").select((F.col("h") * (1 << 20) + F.col("w")).alias("key"), (level(1) - level(0)).alias("ratio"), "n0", "n1")
-    told = rated.orderBy(F.desc(F.abs("ratio") * F.sqrt(F.col("n0") + F.col("n1"))), "key").limit(BIGRAMS).toPandas().sort_values("key")
-    model = Model(hashes, word, backed, told["key"].to_numpy(np.int64), told["ratio"].to_numpy(float))
-    sample = sampled(labelled(docs, labels, label, fold(4), id_col, text_col), CALIBRATION_ROWS)
-    got = sample.mapInArrow(_featured(model, ["y"]), "y int, a double, b double, c double").toPandas()
-    model.calibrator = Logistic(got[["a", "b", "c"]].to_numpy(), got["y"].to_numpy())
+    grams = staged(train.mapInArrow(_bigram_counts, "h long, w long, n0 long, n1 long").groupBy("h", "w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1")), "kn-bigrams")
+    none = F.lit(0).cast("long")
+    turned = F.shiftleft("h", TURN).bitwiseOR(F.shiftrightunsigned("h", 64 - TURN))
+    pairs = grams.select(turned.bitwiseXOR(F.col("w")).alias("key"), F.col("n0").alias("a"), F.col("n1").alias("b"), none.alias("c"), none.alias("d"))
+    words = staged(grams.groupBy(F.col("w").alias("key")).agg(F.sum("n0").alias("a"), F.sum("n1").alias("b"), F.count("*").alias("c")).withColumn("d", none), "kn-words")
+    followers = [F.sum((F.col(f"n{y}") > 0).cast("long")).alias(c) for y, c in ((0, "c"), (1, "d"))]
+    histories = grams.groupBy(F.col("h").bitwiseXOR(F.lit(HISTORY)).alias("key")).agg(F.sum("n0").alias("a"), F.sum("n1").alias("b"), *followers)
+    counts = pairs.union(words).union(staged(histories, "kn-histories"))
+    sums = words.agg(*(F.coalesce(F.sum(c), F.lit(0)) for c in "abc"), *(F.count(F.when(F.col(c) > 0, 1)) for c in "ab"), F.count("*")).first()
+    model = Model(counts, (sums[0], sums[1]), (sums[3], sums[4]), sums[2], sums[5])
+    sample = staged(sampled(labelled(docs, labels, label, fold(4), id_col, text_col), CALIBRATION_ROWS).select("y", F.col("text").alias("__text")), "kn-sample")
+    got = _by_block(sample, model, 1, 1, ", ".join(f"{c}{i} double" for i in range(len(EVIDENCE)) for c in "abc"), lambda found: [pa.array(x) for x in found.T], EVIDENCE).toPandas()
+    discard(sample)
+    y, least = got["y"].to_numpy(), np.inf
+    for i, evidence in enumerate(EVIDENCE):
+        x = got[[f"{c}{i}" for c in "abc"]].to_numpy()
+        tried = Logistic(x, y)
+        p = np.clip(tried(x), 1e-12, 1 - 1e-12)
+        loss = float(-np.log(np.where(y > 0, p, 1 - p)).mean()) if len(y) else 0.0
+        if loss < least:
+            least, model.evidence, model.calibrator = loss, evidence, tried
     return model
 
 
-def _featured(model: Model, keep: list[str]):
-    def run(batches):
-        ids = _Ids(model.hashes)
-        for batch in batches:
-            found = np.array([model.features(ids, t.as_py()) for t in batch.column("text")]).reshape(-1, 3)
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), *(pa.array(found[:, i]) for i in range(3))], [*keep, "a", "b", "c"])
+def _by_block(rows: DataFrame, model: Model, width: int, at: int, extra: str, finish, evidence: tuple[float, ...] | None = None) -> DataFrame:
+    """The first ``width`` columns and what ``finish`` makes of the features of column ``at``.
 
-    return run
+    Rows are written in blocks; a block's distinct n-grams are joined with the
+    counts, so a word's rows are at most one a block and batch, and what was
+    found meets the block's texts. A task holds one block and its n-grams.
+    """
+    blocks = staged(rows.withColumn("__block", F.shiftright(F.monotonically_increasing_id(), BLOCK_BITS)), "kn-blocks")
+    keys = blocks.select("__block", blocks.columns[at]).mapInArrow(_block_keys, "__block long, __key long")
+    found = keys.join(model.counts, F.col("__key") == F.col("key")).select("__block", "key", *_COUNTS)
+    slim = (model.times, model.kinds, model.bigrams, model.words)
+    tried = evidence or (model.evidence,)
+    names = [*blocks.columns[:width], *(x.split()[0].strip("`") for x in extra.split(", "))]
+
+    def run(mine: pa.Table, seen: pa.Table) -> pa.Table:
+        memo = _Hashes()
+        texts = [_hashed(memo, t.as_py()) for t in mine.column(at)]
+        grams, ends, columns = _ngrams(texts), np.cumsum(list(map(len, texts)))[:-1], []
+        for e in tried:
+            ratio = _Ratios(Model(None, *slim, e), seen)(*grams)
+            columns.append(np.array([_features(r) for r in (np.split(ratio, ends) if texts else [])]).reshape(-1, 3))
+        features = np.hstack(columns)
+        return pa.Table.from_arrays([*(mine.column(i) for i in range(width)), *finish(features)], names)
+
+    kinds = ", ".join(f"`{n}` {t}" for n, t in blocks.dtypes[:width])
+    return blocks.groupBy("__block").cogroup(found.groupBy("__block")).applyInArrow(run, f"{kinds}, {extra}")
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = (), out: str = "score") -> DataFrame:
-    """(id, *keep, score) of every whole text, one row per input row; narrow.
+    """(id, *keep, score) of every whole text, one row per input row.
 
     Null and empty texts have ratio 0. With labels of one class only, every
     score is that class; without labels it is 0.
@@ -191,16 +222,8 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     slim = docs.select(F.col(id_col), *keep) if kept else docs.select(F.col(id_col), *keep, F.col(text_col).cast("string").alias("__text"))
     width = len(keep) + 1
     at = 1 + keep.index(text_col) if kept else width
-
-    def run(batches):
-        ids = _Ids(model.hashes)
-        for batch in batches:
-            found = np.array([model.features(ids, t.as_py()) for t in batch.column(at)]).reshape(-1, 3)
-            cols = [batch.column(i) for i in range(width)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(model.calibrator(found))], [*batch.schema.names[:width], out])
-
-    kinds = ", ".join(f"`{n}` {t}" for n, t in slim.dtypes[:width])
-    return slim.mapInArrow(run, f"{kinds}, `{out}` double")
+    calibrator = model.calibrator
+    return _by_block(slim, model, width, at, f"`{out}` double", lambda found: [pa.array(calibrator(found))])
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.5) -> DataFrame:
