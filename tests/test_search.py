@@ -32,6 +32,15 @@ def test_exact_search_against_brute_force_and_in_blocks(spark, data, monkeypatch
     assert exact.exact_knn(db, asks.where("false"), 5).count() == 0
 
 
+@pytest.mark.parametrize("kind", ["l2", "ip", "cos"])
+def test_exact_search_takes_the_smallest_of_many_equal_rows(kind):
+    rng = np.random.default_rng(6)
+    x = np.concatenate((np.tile(rng.normal(size=16), (3000, 1)), rng.normal(size=(1000, 16)) * 0.01))
+    ids = rng.permutation(len(x))
+    _, got, score = exact._block_best(ids, x, np.array([7]), x[:1] * 1.1, 5, kind)
+    assert got.tolist() == sorted(ids[:3000])[:5] and len(set(score)) == 1
+
+
 def test_pruning_example_and_cap(spark):
     db = spark.createDataFrame([(0, [0.0, 0.0]), (1, [1.0, 0.0]), (2, [2.0, 0.0]), (3, [0.0, 3.0])], "id long, vec array<double>")
     cands = graph.knn_candidates(db, 3).where("src = 0")

@@ -12,6 +12,8 @@ from vecengine.functions.vectors import sim
 #: Bytes of queries up to which every task gets all of them; beyond, they go in blocks.
 BROADCAST_BYTES = 64 << 20
 QUERY_BLOCK = 4096
+#: Rounding of a sum of products, for each component, as a share of the norms; generous.
+EPS = 1e-14
 
 
 def topk(df: DataFrame, k: int, part: str = "qid") -> DataFrame:
@@ -31,18 +33,41 @@ def scores(x: np.ndarray, q: np.ndarray, kind: str) -> np.ndarray:
 
 
 def _block_best(ids: np.ndarray, x: np.ndarray, qids: np.ndarray, q: np.ndarray, k: int, kind: str):
+    """k best by (score, smaller id) of each query among the rows of a block.
+
+    Every row whose score is within rounding of the kth best, ties of any
+    number too, is a candidate; only then the ids decide.
+    """
     s = scores(x, q, kind)
     s[~np.isfinite(s)] = -np.inf
-    near = np.argpartition(-s, min(k + 4, len(ids)) - 1, axis=1)[:, : k + 4] if len(ids) > k + 4 else np.tile(np.arange(len(ids)), (len(q), 1))
-    # Distances of the chosen few again, component by component, for full precision.
-    if kind == "l2":
-        exact = -np.sqrt(((x[near] - q[:, None, :]) ** 2).sum(axis=2))
-    else:
-        exact = np.take_along_axis(s, near, axis=1)
-    order = np.lexsort((ids[near], -exact), axis=1)[:, :k]
-    near, exact = np.take_along_axis(near, order, axis=1), np.take_along_axis(exact, order, axis=1)
-    keep = np.isfinite(exact)
-    return np.repeat(qids, near.shape[1]).reshape(near.shape)[keep], ids[near][keep], exact[keep]
+    if len(ids) > k:
+        kth = -np.partition(-s, k - 1, axis=1)[:, k - 1]
+        if kind == "l2":
+            # The expanded squares are rounded in proportion to the norms, so the margin is on the square.
+            slack = EPS * x.shape[1] * ((q * q).sum(1) + (x * x).sum(1)[np.isfinite(x).all(axis=1)].max(initial=0))
+            floor = -np.sqrt(kth * kth + slack)
+        else:
+            floor = kth - EPS * x.shape[1] * np.maximum(1, np.abs(np.where(np.isfinite(s), s, 0)).max(axis=1))
+            if kind == "ip":
+                norms = np.sqrt((x * x).sum(1)[np.isfinite(x).all(axis=1)].max(initial=0))
+                floor = np.minimum(floor, kth - EPS * x.shape[1] * np.linalg.norm(q, axis=1) * norms)
+    out = [], [], []
+    for i in range(len(q)):
+        near = np.flatnonzero(np.isfinite(s[i]) if len(ids) <= k else np.isfinite(s[i]) & ~(s[i] < floor[i]))
+        # The scores of the chosen again, component by component, so that equal rows score alike.
+        y, one = x[near], q[i]
+        if kind == "l2":
+            exact = -np.sqrt(((y - one) ** 2).sum(axis=1))
+        elif kind == "ip":
+            exact = (y * one).sum(axis=1)
+        else:
+            exact = (y / np.linalg.norm(y, axis=1, keepdims=True) * (one / np.linalg.norm(one))).sum(axis=1)
+        order = np.lexsort((ids[near], -exact))[:k]
+        order = order[np.isfinite(exact[order])]
+        for into, what in zip(out, (np.full(len(order), qids[i]), ids[near][order], exact[order]), strict=True):
+            into.append(what)
+    a, b, c = out
+    return np.concatenate([qids[:0], *a]), np.concatenate([ids[:0], *b]), np.concatenate([np.empty(0), *c])
 
 
 def _matrix(column) -> np.ndarray:
