@@ -54,6 +54,17 @@ def test_shards_are_even_and_keep_groups(spark, n):
         assert got[got["size"] == 4].groupby("shard").size().max() >= n // 16 - 1
 
 
+@pytest.mark.parametrize(("n_groups", "copies", "single", "cut"), [(160, 2, 0, 0), (1, 300, 20, 300 * 299 // 2 - 15 * 190), (7, 40, 40, None)])
+def test_shards_cut_few_copies(spark, n_groups, copies, single, cut):
+    rows = [(i, f"text {i % n_groups}") for i in range(n_groups * copies)] + [(10_000 + i, f"alone {i}") for i in range(single)]
+    got = sharding.balanced_shards(spark.createDataFrame(rows, "doc_id long, text string")).persist()
+    edges, lost = sharding.cut_edges(got).first()
+    assert got.count() == 320 and got.groupBy("shard").count().where("count <> 20").count() == 0
+    assert edges == n_groups * copies * (copies - 1) // 2
+    # Groups of 40 fill two shards of 20 each.
+    assert lost == (7 * 400 if cut is None else cut)
+
+
 def test_key_shards_move_rows_into_the_new_one_only(spark):
     d = spark.createDataFrame([(i, f"t{i}") for i in range(400)] + [(None, None)], "doc_id long, text string")
     got = sharding.key_shards(d).toPandas()
