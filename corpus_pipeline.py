@@ -7,11 +7,13 @@ is written as Parquet to the shared folder and read again.
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vecengine.llm import ngram_join, packing, quality, toxicity
+from vecengine.llm import bpe, ngram_join, packing, quality, toxicity
 from vecengine.llm.common import staged, table
+from vecengine.llm.registry import TOKENIZER
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,8 +38,8 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents in bins of the permitted lengths."""
-    return packing.best_fit(docs.select("doc_id", "text"))
+    """Pieces of all documents in bins of the permitted lengths, counted in tokens."""
+    return packing.best_fit(bpe.lengths(docs, public_tokenizers.path(TOKENIZER)), length_col="length")
 
 
 STAGES = [("toxicity", drop_toxic), ("quality", drop_poor), ("ngram_jaccard", drop_near_copies), ("packing", pack)]

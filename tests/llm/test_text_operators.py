@@ -76,6 +76,16 @@ def test_packing_fits_and_downsizes(spark):
     assert all((g.offset.to_numpy()[1:] == (g.offset + g.length).to_numpy()[:-1]).all() for _, g in spans.groupby("bin"))
 
 
+def test_packing_counts_tokens(spark, tmp_path):
+    from vecengine.llm import registry
+
+    texts = [*ODD, "漢字" * 9000]
+    docs(spark, texts).write.parquet(f"{tmp_path}/documents.parquet")
+    out = registry.op10_best_fit_packing(spark, str(tmp_path)).toPandas()
+    want = {i: len(LIB.encode(t or "").ids) + 1 for i, t in enumerate(texts)}
+    assert out.groupby("doc_id").length.sum().to_dict() == want and (out.offset + out.length <= out.capacity).all()
+
+
 def labelled(spark, n, word, label):
     rng = np.random.default_rng(5)
     rows, marks = [], []

@@ -47,7 +47,7 @@ def op5_sharding(spark, sf_dir):
 
 
 def op10_best_fit_packing(spark, sf_dir):
-    return packing.best_fit(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return packing.best_fit(bpe.lengths(table(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER)), length_col="length")
 
 
 def op6_embedding_near_dedup(spark, sf_dir):
