@@ -10,7 +10,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecengine.llm.calibrate import CALIBRATION_ROWS, Logistic, fold, held_out, labelled, sampled
+from vecengine.llm.calibrate import CALIBRATION_ROWS, Logistic, fold, held_out, sampled
 from vecengine.llm.common import small_batches
 
 #: Labelled rows of each class, and bytes of each, from which a dictionary is built.
@@ -78,11 +78,11 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     DICTIONARY_ROW_BYTES bytes, and CALIBRATION_ROWS rows.
     """
     small_batches(docs.sparkSession)
-    train = labelled(docs, labels, label, fold(1, 2), id_col, text_col).where(F.octet_length("text").between(1, DICTIONARY_ROW_BYTES))
-    texts = {y: [r["text"] for r in sampled(train.where(F.col("y") == y), DICTIONARY_ROWS).select("text").collect()] for y in (1, 0)}
-    model = Model(_dictionary(texts[1]), _dictionary(texts[0]))
-    sample = sampled(labelled(docs, labels, label, fold(3, 4), id_col, text_col), CALIBRATION_ROWS)
-    got = sample.mapInArrow(_featured(model, ["y"]), "y int, a double, b double, c double").toPandas()
+    chosen = sampled(docs, labels, label, fold(1, 2), DICTIONARY_ROWS, True, DICTIONARY_ROW_BYTES, id_col, text_col).toPandas()
+    chosen = chosen.sort_values("id")
+    model = Model(_dictionary(chosen.text[chosen.y > 0].tolist()), _dictionary(chosen.text[chosen.y <= 0].tolist()))
+    sample = sampled(docs, labels, label, fold(3, 4), CALIBRATION_ROWS, id_col=id_col, text_col=text_col)
+    got = sample.select("y", "text").mapInArrow(_featured(model, ["y"]), "y int, a double, b double, c double").toPandas()
     model.calibrator = Logistic(_inputs(got[["a", "b", "c"]].to_numpy().reshape(-1, 3)), got["y"].to_numpy(), unknown=1.0)
     return model
 
