@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 import sys
 import unicodedata
 from functools import lru_cache
@@ -26,9 +27,20 @@ from tokenizers import Tokenizer
 
 #: The split pattern of this family of byte-level vocabularies.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: Texts of code points below this one are split by the quicker re module, its classes spelled out.
+_NEAR = 0x250
 _MEMO_WORDS, _MEMO_LENGTH, _MEMO_PAIRS = 400_000, 64, 1_000_000
 
 
+def _near_pattern() -> str:
+    """SPLIT with its classes as sets of the code points below _NEAR."""
+    points = [chr(c) for c in range(_NEAR)]
+    own = lambda found: "".join(re.escape(c) for c in found)
+    letters, numbers = (own(c for c in points if unicodedata.category(c)[0] == kind) for kind in "LN")
+    space = own(regex.findall(r"\s", "".join(points)))
+    return SPLIT.replace(r"[^\s\p{L}\p{N}]", f"[^{space}{letters}{numbers}]").replace(r"\p{L}", f"[{letters}]").replace(r"\p{N}", f"[{numbers}]").replace(r"\S", f"[^{space}]").replace(r"\s", f"[{space}]")
+
+
 def byte_letters() -> dict[str, int]:
     """The printable letter that stands for each byte in the vocabulary file."""
     shown = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b]
@@ -85,7 +97,7 @@ class Bpe:
         self.states = dict.fromkeys((raw[k:] for raw in self.entry for k in range(1, len(raw))), -1) | self.entry
         self.fits: dict[int, bool] = {}
         self.words = _Words(self.encode_word)
-        self.find = regex.compile(SPLIT).findall
+        self.find, self.find_near = regex.compile(SPLIT).findall, re.compile(_near_pattern()).findall
         self.find_new = None
         self.apart = regex.compile("|".join(f"({regex.escape(s)})" for s in self.special)) if self.special else None
 
@@ -184,8 +196,8 @@ class Bpe:
         which the library takes for signs; texts that hold such a code point
         go by a pattern without them.
         """
-        if text.isascii() or max(text) < "\u0250":
-            return self.find(text)
+        if text.isascii() or max(text) < chr(_NEAR):
+            return self.find_near(text)
         if self.find_new is None:
             late = later_letters(self.path)
             apart = SPLIT if not late else SPLIT.replace(r"\p{L}+", f"[\\p{{L}}--[{late}]]+", 1).replace(r"\p{N}+", f"[\\p{{N}}--[{late}]]+", 1)
