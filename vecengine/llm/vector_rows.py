@@ -2,17 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def usual_length(df: DataFrame, vec: str) -> int:
-    """The length that most vectors have (the larger of equally frequent ones); 0 without any."""
-    top = df.where(F.size(vec) > 0).groupBy(F.size(vec).alias("d")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), F.desc("d")).first()
-    return top["d"] if top else 0
-
-
-def sound(vec: str, d: int):
-    """Of the usual length, without null or non-finite components."""
+def sound(vec: str):
+    """Not null or empty, without null or non-finite components."""
     bad = F.exists(vec, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    return F.coalesce((F.size(vec) == d) & ~bad, F.lit(False))
+    return F.coalesce((F.size(vec) > 0) & ~bad, F.lit(False))
