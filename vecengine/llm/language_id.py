@@ -2,54 +2,50 @@
 
 from __future__ import annotations
 
+import sys
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Letters get 6-bit codes; n-grams of 1 to 3 carry a leading 1, so all differ.
-_CODES = 1 << 19
 PROFILE = 400
 UNKNOWN = "und"
+#: An n-gram's code is its code points, 21 bits each; between words stands one space.
+_BITS, _SPACE = 21, 32
+#: Distinct n-grams that a task holds before it sums them up.
+_PENDING = 4_000_000
 
 
-def _letter_codes() -> np.ndarray:
-    """Code of each code point below U+0250: 0 between words, 1-26 plain letters, 27-63 the others."""
-    codes = np.zeros(0x250, np.int32)
-    for c in range(0x250):
-        if chr(c).isalpha():
-            low = ord(chr(c).lower()) if len(chr(c).lower()) == 1 else c
-            codes[c] = low - 96 if 97 <= low <= 122 else 27 + low % 37
-    return codes
-
-
-_LETTERS = _letter_codes()
+@lru_cache(maxsize=1)
+def _alphabet() -> np.ndarray:
+    """Which code points are letters, of any script."""
+    return np.fromiter((chr(c).isalpha() for c in range(sys.maxunicode + 1)), bool, sys.maxunicode + 1)
 
 
 def letters(text: str) -> np.ndarray:
-    """Codes of a text; signs, digits and spaces become one 0 between words."""
-    points = np.frombuffer(text.encode("utf-32-le", "replace"), "<u4")
-    far = points >= 0x250
-    codes = _LETTERS[np.where(far, 0, points)]
-    if far.any():
-        where = np.flatnonzero(far)
-        alpha = np.fromiter((chr(c).isalpha() for c in points[where]), bool, len(where))
-        codes[where[alpha]] = 27 + points[where[alpha]] % 37
-    if not codes.any():
+    """Code points of the lower-cased letters; whatever stands between words becomes one space."""
+    points = np.frombuffer(text.lower().encode("utf-32-le", "replace"), "<u4").astype(np.int64)
+    codes = np.where(_alphabet()[points], points, _SPACE)
+    if not (codes != _SPACE).any():
         return codes[:0]
-    codes = np.concatenate(([0], codes, [0]))
-    return codes[(codes > 0) | np.concatenate(([True], codes[:-1] > 0))]
+    codes = np.concatenate(([_SPACE], codes, [_SPACE]))
+    return codes[(codes != _SPACE) | np.concatenate(([True], codes[:-1] != _SPACE))]
 
 
 def ngrams(text: str) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct n-grams of a text and how often each occurs."""
-    c = letters(text).astype(np.int32)
+    """Distinct n-grams of one to three letters or spaces (no lone space) and how often each occurs; shorter ones have smaller codes."""
+    c = letters(text)
     if not len(c):
         return c, c
-    one = 64 + c[c > 0]
-    two = 64 * (64 + c[:-1]) + c[1:]
-    three = 64 * (64 * (64 + c[:-2]) + c[1:-1]) + c[2:]
-    return np.unique(np.concatenate((one, two, three)), return_counts=True)
+    two = c[:-1] << _BITS | c[1:]
+    return np.unique(np.concatenate((c[c != _SPACE], two, two[:-1] << _BITS | c[2:])), return_counts=True)
+
+
+def _summed(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    codes, where = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+    return codes, np.bincount(where, np.concatenate([p[1] for p in parts]), len(codes)).astype(np.int64)
 
 
 def _top(codes: np.ndarray, counts: np.ndarray, size: int) -> np.ndarray:
@@ -69,18 +65,24 @@ def profiles(train: DataFrame, text_col: str = "text", lang_col: str = "lang", s
     language. Rows with null text or language do not count.
     """
     def count(batches):
-        sums: dict[str, np.ndarray] = {}
+        sums: dict[str, list[tuple[np.ndarray, np.ndarray]]] = {}
+        pending = 0
         for batch in batches:
             for text, lang in zip(batch.column(0), batch.column(1), strict=True):
-                codes, counts = ngrams(text.as_py())
-                total = sums.setdefault(lang.as_py(), np.zeros(_CODES, np.int64))
-                np.add.at(total, codes, counts) if len(codes) < 8 else total.__setitem__(codes, total[codes] + counts)
-        for lang, total in sums.items():
-            codes = np.flatnonzero(total)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(codes), pa.string()), pa.array(codes, pa.int32()), pa.array(total[codes], pa.int64())], ["lang", "code", "n"])
+                found = ngrams(text.as_py())
+                sums.setdefault(lang.as_py(), []).append(found)
+                pending += len(found[0])
+            if pending > _PENDING:
+                sums = {k: [_summed(v)] for k, v in sums.items()}
+                pending = 0
+        for lang, parts in sums.items():
+            codes, counts = _summed(parts)
+            for at in range(0, len(codes), 100_000):
+                part = slice(at, at + 100_000)
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(codes[part]), pa.string()), pa.array(codes[part]), pa.array(counts[part])], ["lang", "code", "n"])
 
     slim = train.select(F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("text is not null and lang is not null")
-    sums = slim.mapInArrow(count, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
+    sums = slim.mapInArrow(count, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
     ranked = sums.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "code"))).where(F.col("r") <= size)
     out: dict[str, list[int]] = {}
     for row in ranked.orderBy("lang", "r").collect():
@@ -102,9 +104,10 @@ def identify(docs: DataFrame, known: dict[str, list[int]], id_col: str = "doc_id
     table = [known[name] for name in names]
 
     def run(batches):
-        place = np.full((len(names), _CODES), size, np.int16)
+        every = np.unique(np.array([c for codes in table for c in codes], np.int64))
+        place = np.full((len(names), len(every) + 1), size, np.int64)
         for row, codes in zip(place, table, strict=True):
-            row[np.asarray(codes, np.int64)] = np.arange(len(codes))
+            row[np.searchsorted(every, np.asarray(codes, np.int64))] = np.arange(len(codes))
         for batch in batches:
             pred, score = [], []
             for text in batch.column(batch.num_columns - 1):
@@ -114,7 +117,8 @@ def identify(docs: DataFrame, known: dict[str, list[int]], id_col: str = "doc_id
                     score.append(0.0)
                     continue
                 mine = _top(codes, counts, size)
-                far = place[:, mine].astype(np.int64)
+                at = np.minimum(np.searchsorted(every, mine), len(every) - 1)
+                far = place[:, np.where(every[at] == mine, at, len(every))]
                 far = np.where(far == size, size, np.abs(far - np.arange(len(mine)))).sum(axis=1)
                 order = np.argsort(far, kind="stable")
                 best, second = far[order[0]], far[order[1]] if len(names) > 1 else size * len(mine)

@@ -3,12 +3,15 @@
 Documents with equal sets form a class. Two sets that are similar enough differ
 in so few shingles that, of a fixed partition of all shingles into parts,
 several parts hold the same of both; classes meet in the buckets of such parts,
-and one that meets others in fewer buckets than a link needs is left out. Within
-a bucket, each class is compared with the first one; those that link make the
-groups. The matrix holds the union of the shingles of every (bounded) group.
-Classes that met members of another group are then queries against it: the
-overlap with the group's union bounds the overlap with any member, and only
-groups that pass the bound are opened and compared member by member.
+and one that meets others in fewer buckets than a link needs is left out.
+
+Classes that met the same first class are partitioned into (bounded) groups. The
+matrix holds, for every group, the union of its shingles and the members' sizes.
+Links come from the matrix alone, in two rounds of queries: first every class
+asks the groups of the first classes of its buckets; then, once linked classes
+are connected, it asks the groups of others that it met and is not connected
+with. The overlap with a group's union bounds the overlap with any member, and
+only groups that pass the bound are opened and compared member by member.
 """
 
 from __future__ import annotations
@@ -30,8 +33,8 @@ from vecengine.llm.common import components, discard, small_batches, staged
 SAMPLE, COMMON, COMMON_LIST = 4_000, 4, 200_000
 #: Members of a group of the matrix.
 GROUP = 32
-#: Rows of ids up to which they are broadcast.
-BROADCAST_ROWS = 2_000_000
+#: Rows of ids up to which they are broadcast (about 64 bytes each in a hashed relation); beyond, texts are shuffled to them.
+BROADCAST_ROWS = 4_000_000
 _MEMO = 60_000
 _RARE, _ALL = (0, 1), (2, 3, 4)  # attempts: first over uncommon shingles, then over all
 #: Equal parts that a link needs, by the code in a part's low byte: four bits tell
@@ -148,6 +151,11 @@ def _longs(arrays: list) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([np.empty(0, np.uint64), *arrays]).view(np.int64)))
 
 
+def _key(sig: bytes) -> int:
+    """What buckets know a class by: the first half of its signature."""
+    return int.from_bytes(sig[:8], "little", signed=True)
+
+
 def _sets(n: int):
     def run(batches):
         words = _Words()
@@ -170,21 +178,28 @@ def _described(n: int):
                 s = shingles(t.as_py(), n, words)
                 sizes.append(len(s))
                 sigs.append(xxhash.xxh3_128_digest(s.tobytes()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary())], ["doc_id", "n", "sig"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(sigs, pa.binary()), pa.array(list(map(_key, sigs)), pa.int64())], ["doc_id", "n", "sig", "key"])
 
     return run
 
 
 def _parted(n: int, num: int, den: int, common: np.ndarray):
+    """(key, part): the parts of each class, once a task, so that copies move at most one a task."""
     def run(batches):
-        words, parts = _Words(), Parts(num, den, common)
+        words, parts, known = _Words(), Parts(num, den, common), set()
         for batch in batches:
             for at in range(0, batch.num_rows, 100):
-                chunk = batch.slice(at, 100)
-                found = [parts.signatures(s) if len(s := shingles(t.as_py(), n, words)) else s for t in chunk.column(1)]
+                keys, found = [], []
+                for t in batch.column(0).slice(at, 100):
+                    s = shingles(t.as_py(), n, words)
+                    key = _key(xxhash.xxh3_128_digest(s.tobytes()))
+                    if len(s) and key not in known:
+                        known.add(key)
+                        keys.append(key)
+                        found.append(parts.signatures(s))
                 sizes = np.array([len(f) for f in found], np.int64)
                 flat = np.concatenate([np.empty(0, np.uint64), *found]).view(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(chunk.column(0).to_numpy(zero_copy_only=False), sizes), pa.int64()), pa.array(flat)], ["rep", "part"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.array(keys, np.int64), sizes), pa.int64()), pa.array(flat)], ["key", "part"])
 
     return run
 
@@ -201,35 +216,31 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     small_batches(docs.sparkSession)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     common = _common(slim, n)
-    rows = staged(slim.mapInArrow(_described(n), "doc_id long, n long, sig binary"), "join-rows")
+    rows = staged(slim.mapInArrow(_described(n), "doc_id long, n long, sig binary, key long"), "join-rows")
     live = rows.where("n > 0 and doc_id is not null")
-    classes = staged(live.groupBy("sig").agg(F.min("doc_id").alias("rep")), "join-classes")
-    # Parts of one text a class: the texts are read again, so that no parts of copies are moved.
-    reps = classes.select("rep")
-    first = F.broadcast(reps) if reps.count() <= BROADCAST_ROWS else reps
-    parts = slim.join(first, slim.doc_id == first["rep"], "left_semi").mapInArrow(_parted(n, num, den, common), "rep long, part long")
-    bucket, lane = Window.partitionBy("part"), Window.partitionBy("rep", F.expr(_LANE))
+    classes = staged(live.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.first("key").alias("key")), "join-classes")
+    # The texts are read again, so that no parts of copies are kept meanwhile.
+    parts = slim.where("doc_id is not null").select("text").mapInArrow(_parted(n, num, den, common), "key long, part long")
+    bucket, lane = Window.partitionBy("part"), Window.partitionBy("key", F.expr(_LANE))
 
     def meeting(rows: DataFrame) -> DataFrame:
-        rows = rows.withColumn("lead", F.min("rep").over(bucket)).withColumn("last", F.max("rep").over(bucket))
-        return rows.where("lead <> last").select("part", "rep", "lead")
+        rows = rows.withColumn("lead", F.min("key").over(bucket)).withColumn("last", F.max("key").over(bucket))
+        return rows.where("lead <> last").select("part", "key", "lead")
 
-    any_met = staged(meeting(parts).select("part", "rep"), "join-any-met")
-    enough = any_met.withColumn("c", F.count("*").over(lane)).where(F.col("c") >= _need()).select("part", "rep")
-    met = staged(meeting(enough), "join-met")
+    # A class comes once from each task that saw it.
+    any_met = staged(meeting(parts).select("part", "key").distinct(), "join-any-met")
+    enough = any_met.withColumn("c", F.count("*").over(lane)).where(F.col("c") >= _need()).select("part", "key")
+    keyed = staged(meeting(enough), "join-keyed")
     discard(any_met)
-    needed = staged(met.select("rep").distinct(), "join-needed")
-    asked = F.broadcast(needed) if needed.count() <= BROADCAST_ROWS else needed
+    needed = staged(classes.select("key", "rep").join(keyed.select("key").distinct(), "key", "left_semi"), "join-needed")
+    named = needed.select(F.col("key").alias("lead"), F.col("rep").alias("lead_rep"))
+    met = staged(keyed.join(needed, "key").join(named, "lead").select("part", "rep", F.col("lead_rep").alias("lead")), "join-met")
+    discard(keyed)
+    reps = needed.select("rep").distinct()
+    asked = F.broadcast(reps) if reps.count() <= BROADCAST_ROWS else reps
     sets = slim.join(asked, slim.doc_id == asked["rep"], "left_semi").mapInArrow(_sets(n), "doc_id long, sig binary, s array<long>")
     sets = staged(sets.dropDuplicates(["doc_id", "sig"]).select(F.col("doc_id").alias("rep"), "s", F.size("s").cast("long").alias("n")), "join-sets")
-
-    def linked(pairs: DataFrame) -> DataFrame:
-        a, b = sets.select(F.col("rep").alias("a"), F.col("s").alias("sa"), F.col("n").alias("na")), sets.select(F.col("rep").alias("b"), F.col("s").alias("sb"), F.col("n").alias("nb"))
-        both = pairs.join(a, "a").join(b, "b").where((F.least("na", "nb") * den >= F.greatest("na", "nb") * num))
-        return both.where(F.size(F.array_intersect("sa", "sb")) * F.lit(den + num) >= (F.col("na") + F.col("nb")) * num).select("a", "b")
-
-    firsts = met.where("rep <> lead").select(F.col("rep").alias("a"), F.col("lead").alias("b")).distinct()
-    edges = staged(linked(firsts), "join-edges")
+    edges = _first_links(met, sets, num, den)
     comp = components(edges)
     more = _across(met, comp, sets, num, den)
     discard(met, needed, sets)
@@ -241,8 +252,8 @@ def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 10
     more = staged(more, "join-more")
     if more.limit(1).count():
         comp = components(edges.union(more))
-    named = staged(classes.select("sig", "rep").join(comp, classes.rep == comp.id, "left").select("sig", F.coalesce("comp", "rep").alias("comp")), "join-named")
-    shown = rows.join(named, "sig", "left")
+    named = staged(classes.select("sig", "rep").join(comp, classes.rep == comp.id, "left").select("sig", F.coalesce("comp", "rep").alias("comp")), "join-shown")
+    shown = rows.drop("key").join(named, "sig", "left")
     alone = (F.col("n") == 0) | F.col("doc_id").isNull()
     return shown.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("comp")).alias("component_id"))
 
@@ -278,18 +289,59 @@ def _often(batches):
         yield pa.RecordBatch.from_arrays([pa.array(x) for x in flat], ["rep", "comp", "group"])
 
 
+def _chunks(members: DataFrame, pool: list[str]) -> DataFrame:
+    """``members`` with ``group``: the rows of each ``pool`` dealt to groups of about GROUP."""
+    counts = members.groupBy(*pool).agg(F.count("*").alias("all"))
+    chunk = F.pmod(F.xxhash64("rep"), F.ceil(F.col("all") / GROUP)).cast("long")
+    return members.join(counts, pool).withColumn("group", F.xxhash64(*pool, chunk)).drop("all")
+
+
+def _matrix(placed: DataFrame, sets: DataFrame) -> DataFrame:
+    """The token-group matrix of ``placed(rep, comp, group)``, a row a group: its union of shingles, the least and the largest member, and the members behind them."""
+    member = F.struct("rep", "comp", "n", "s")
+    rows = placed.join(sets, "rep").groupBy("group").agg(F.collect_list(member).alias("members"), F.min("n").alias("low"), F.max("n").alias("high"))
+    return staged(rows.withColumn("union", F.array_distinct(F.flatten("members.s"))), "join-matrix")
+
+
+def _opened(asks: DataFrame, sets: DataFrame, matrix: DataFrame, num: int, den: int) -> DataFrame:
+    """Rows of ``asks(rep, comp, group)`` whose group may hold a link: its union overlaps the query's set enough, and some size fits. ``links`` are the members that do link."""
+    asked = asks.join(sets, "rep").join(matrix, "group")
+    fits = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
+    opened = asked.where(fits & (F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num))
+
+    def links(m):
+        other = (m["rep"] != F.col("rep")) & (F.col("comp").isNull() | (m["comp"] > F.col("comp")))
+        near = F.least(m["n"], F.col("n")) * den >= F.greatest(m["n"], F.col("n")) * num
+        return other & near & (F.size(F.array_intersect(m["s"], F.col("s"))) * F.lit(den + num) >= (m["n"] + F.col("n")) * num)
+
+    return opened.select("rep", F.transform(F.filter("members", links), lambda m: m["rep"]).alias("links"))
+
+
+def _first_links(met: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """Links (a, b) of each class into the groups of the first classes of its buckets: one for each group that it links with, which is enough to connect the two."""
+    members = met.groupBy("rep").agg(F.min("lead").alias("pool")).withColumn("comp", F.lit(None).cast("long"))
+    placed = staged(_chunks(members, ["pool"]).select("rep", "comp", "group"), "join-grouped")
+    there = placed.select(F.col("rep").alias("lead"), "group")
+    asks = met.where("rep <> lead").select("rep", "lead").distinct().join(there, "lead").select("rep", F.lit(None).cast("long").alias("comp"), "group").distinct()
+    matrix = _matrix(placed, sets)
+    found = _opened(asks, sets, matrix, num, den).where(F.size("links") > 0).select(F.col("rep").alias("a"), F.array_min("links").alias("b"))
+    edges = staged(found, "join-edges")
+    discard(placed, matrix)
+    return edges
+
+
 def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
-    """Links between classes that met but are not connected yet, by way of the token-group matrix.
+    """Links between classes that met but are not connected yet.
 
     Groups are bounded pieces of what is connected, or, of the rest, of classes
-    that met the same first class. A group is one row: its union and, behind
-    it, its members. What a query meets stays one row a group until it links.
+    that met the same first class. What a query meets stays one row a group
+    until it links.
     """
     lead = comp.select(F.col("id").alias("lead"), F.col("comp").alias("lead_comp"))
     named = staged(
         met.join(comp, met.rep == comp.id, "left").select("part", "rep", "lead", F.coalesce("comp", "rep").alias("comp"))
         .join(lead, "lead", "left").select("part", "rep", "lead", "comp", F.coalesce("lead_comp", "lead").alias("lead_comp")),
-        "join-grouped",
+        "join-named",
     )
     mixed = staged(named.where("comp <> lead_comp").select("part").distinct(), "join-mixed")
     seen = staged(named.join(mixed, "part").select("part", "rep", "comp", "lead"), "join-seen")
@@ -297,10 +349,7 @@ def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int
     sizes = members.groupBy("comp").agg(F.count("*").alias("size"))
     pooled = members.join(sizes, "comp").withColumn("pure", F.col("size") >= GROUP // 4).withColumn("pool", F.when(F.col("pure"), F.col("comp")).otherwise(F.col("lead")))
     pooled = staged(pooled.select("rep", "comp", "pool", "pure"), "join-pooled")
-    counts = pooled.groupBy("pool", "pure").agg(F.count("*").alias("all"))
-    chunk = F.pmod(F.xxhash64("rep"), F.ceil(F.col("all") / GROUP)).cast("long")
-    placed = pooled.join(counts, ["pool", "pure"]).select("rep", "comp", F.when(F.col("pure"), F.col("pool")).alias("own"), F.xxhash64("pool", "pure", chunk).alias("group"))
-    placed = staged(placed, "join-placed")
+    placed = staged(_chunks(pooled, ["pool", "pure"]).select("rep", "comp", F.when(F.col("pure"), F.col("pool")).alias("own"), "group"), "join-placed")
     located = staged(seen.join(placed.drop("comp"), "rep").select("part", "rep", "comp", "own", "group"), "join-located")
     there = staged(located.groupBy("part").agg(F.collect_set(F.struct("own", "group")).alias("groups")), "join-there")
     # A group of members that are all connected with the query has nothing to tell it.
@@ -309,19 +358,9 @@ def _across(met: DataFrame, comp: DataFrame, sets: DataFrame, num: int, den: int
     asks = asks.groupBy("rep", "comp", F.expr(_LANE).alias("lane"), _need().alias("need")).agg(F.flatten(F.collect_list("groups")).alias("groups"))
     asks = asks.select("rep", "comp", "need", "groups").mapInArrow(_often, "rep long, comp long, group long").distinct()
     asks = staged(asks, "join-asks")
-    member = F.struct("rep", "comp", "n", "s")
-    matrix = placed.join(asks.select("group").distinct(), "group", "left_semi").join(sets, "rep").groupBy("group").agg(F.collect_list(member).alias("members"), F.min("n").alias("low"), F.max("n").alias("high"))
-    matrix = matrix.withColumn("union", F.array_distinct(F.flatten("members.s")))
-    asked = asks.join(sets, "rep").join(matrix, "group")
-    fits = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
-    opened = asked.where(fits & (F.size(F.array_intersect("s", "union")) * F.lit(den) >= F.col("n") * num))
-
-    def links(m):
-        near = (F.least(m["n"], F.col("n")) * den >= F.greatest(m["n"], F.col("n")) * num)
-        return (m["comp"] > F.col("comp")) & near & (F.size(F.array_intersect(m["s"], F.col("s"))) * F.lit(den + num) >= (m["n"] + F.col("n")) * num)
-
-    found = staged(opened.select(F.col("rep").alias("a"), F.explode(F.transform(F.filter("members", links), lambda m: m["rep"])).alias("b")), "join-across")
-    discard(named, mixed, seen, pooled, placed, located, there, asks)
+    matrix = _matrix(placed.join(asks.select("group").distinct(), "group", "left_semi"), sets)
+    found = staged(_opened(asks, sets, matrix, num, den).select(F.col("rep").alias("a"), F.explode("links").alias("b")), "join-across")
+    discard(named, mixed, seen, pooled, placed, located, there, asks, matrix)
     return found
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import functions as F
 
-from vecengine.llm import bpe, language_id, near_vectors, ngram_join, packing, quality, sharding, token_counts, topk, toxicity
+from vecengine.llm import bpe, language_id, near_vectors, ngram_join, oracles, packing, quality, sharding, token_counts, topk, toxicity
 from vecengine.llm.common import crc_mod, table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -63,4 +63,9 @@ def op1_ngram_jaccard_join(spark, sf_dir):
 
 
 QUERIES = {f.__name__: f for f in (op1_ngram_jaccard_join, op2_language_id, op3_bpe_encode_decode, op4_toxicity, op5_sharding, op6_embedding_near_dedup, op7_exact_topk, op8_token_counts, op9_quality, op10_best_fit_packing)}
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op1_ngram_jaccard_join": oracles.ngram_join(3, 90, 100),
+    "op2_language_id": oracles.language_id(language_id.PROFILE),
+    "op6_embedding_near_dedup": oracles.near_vectors(0.95),
+    "op7_exact_topk": oracles.topk(10, 1024),
+}
