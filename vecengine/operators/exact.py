@@ -33,29 +33,34 @@ def scores(x: np.ndarray, q: np.ndarray, kind: str) -> np.ndarray:
 
 
 def _block_best(ids: np.ndarray, x: np.ndarray, qids: np.ndarray, q: np.ndarray, k: int, kind: str):
-    """k best by (score, smaller id) of each query among the rows of a block.
+    """k best by (score, smaller id) of each query among the rows of a block."""
+    largest = (x * x).sum(1)[np.isfinite(x).all(axis=1)].max(initial=0)
+    return _choose(ids, scores(x, q, kind), x.__getitem__, largest, qids, q, k, kind)
+
+
+def _choose(ids: np.ndarray, s: np.ndarray, rows, largest: float, qids: np.ndarray, q: np.ndarray, k: int, kind: str):
+    """The same from (queries, rows) scores ``s``; ``rows`` gives vectors of places, ``largest`` is their largest square.
 
     Every row whose score is within rounding of the kth best, ties of any
     number too, is a candidate; only then the ids decide.
     """
-    s = scores(x, q, kind)
     s[~np.isfinite(s)] = -np.inf
+    d = q.shape[1]
     if len(ids) > k:
         kth = -np.partition(-s, k - 1, axis=1)[:, k - 1]
         if kind == "l2":
             # The expanded squares are rounded in proportion to the norms, so the margin is on the square.
-            slack = EPS * x.shape[1] * ((q * q).sum(1) + (x * x).sum(1)[np.isfinite(x).all(axis=1)].max(initial=0))
+            slack = EPS * d * ((q * q).sum(1) + largest)
             floor = -np.sqrt(kth * kth + slack)
         else:
-            floor = kth - EPS * x.shape[1] * np.maximum(1, np.abs(np.where(np.isfinite(s), s, 0)).max(axis=1))
+            floor = kth - EPS * d * np.maximum(1, np.abs(np.where(np.isfinite(s), s, 0)).max(axis=1))
             if kind == "ip":
-                norms = np.sqrt((x * x).sum(1)[np.isfinite(x).all(axis=1)].max(initial=0))
-                floor = np.minimum(floor, kth - EPS * x.shape[1] * np.linalg.norm(q, axis=1) * norms)
+                floor = np.minimum(floor, kth - EPS * d * np.linalg.norm(q, axis=1) * np.sqrt(largest))
     out = [], [], []
     for i in range(len(q)):
         near = np.flatnonzero(np.isfinite(s[i]) if len(ids) <= k else np.isfinite(s[i]) & ~(s[i] < floor[i]))
         # The scores of the chosen again, component by component, so that equal rows score alike.
-        y, one = x[near], q[i]
+        y, one = rows(near), q[i]
         if kind == "l2":
             exact = -np.sqrt(((y - one) ** 2).sum(axis=1))
         elif kind == "ip":
@@ -81,18 +86,20 @@ def exact_knn(db: DataFrame, q: DataFrame, k: int, kind: str = "l2") -> DataFram
     Each task keeps k rows a query before anything is shuffled. Queries are
     sent to all tasks while they are small (checked); more meet rows in blocks.
     """
-    rows = db.select(F.col("id").cast("long"), F.col("vec").cast("array<double>")).where("vec is not null")
-    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>")).where("vec is not null")
-    shape = asks.agg(F.count("*").alias("m"), F.max(F.size("vec")).alias("d")).first()
+    # Null vectors drop out behind the projections: a filter on ``vec`` would be pushed below them, with copies of all that makes it.
+    rows = db.select(F.col("id").cast("long"), F.col("vec").cast("array<double>"))
+    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>"))
+    shape = asks.agg(F.count("vec").alias("m"), F.max(F.size("vec")).alias("d")).first()
     if not shape["m"]:
         return db.sparkSession.createDataFrame([], "qid long, rank int, id long, score double")
     if shape["m"] * shape["d"] * 8 <= BROADCAST_BYTES:
-        got = asks.toPandas()
+        got = asks.toPandas().dropna()
         sent = db.sparkSession.sparkContext.broadcast((got["qid"].to_numpy(), np.stack(got["vec"].to_numpy())))
 
         def scan(batches):
             qids, qs = sent.value
             for batch in batches:
+                batch = batch.filter(batch.column(1).is_valid())
                 for at in range(0, batch.num_rows, 8192):
                     part = batch.slice(at, 8192)
                     a, b, c = _block_best(part.column(0).to_numpy(), _matrix(part.column(1)), qids, qs, k, kind)
@@ -107,6 +114,7 @@ def exact_knn(db: DataFrame, q: DataFrame, k: int, kind: str = "l2") -> DataFram
         right = asks.select(F.col("qid").alias("id"), "vec", F.lit(1).alias("side"), spread(n_row_blocks).alias("rb"), F.pmod(F.xxhash64("qid"), F.lit(blocks)).alias("qb"))
 
         def meet(t: pa.Table) -> pa.Table:
+            t = t.filter(t.column("vec").is_valid())
             side = t.column("side").to_numpy() == 0
             x, ids = _matrix(t.column("vec")), t.column("id").to_numpy()
             if not side.any() or side.all():
@@ -123,3 +131,46 @@ def broadcast_knn(db: DataFrame, q: DataFrame, k: int, kind: str = "l2") -> Data
     pairs = db.crossJoin(F.broadcast(q.select("qid", F.col("vec").alias("qvec"))))
     scored = pairs.select("qid", "id", sim("qvec", "vec", kind).alias("score")).where("score is not null")
     return topk(scored, k).select("qid", "rank", "id", "score")
+
+
+def coded_knn(codes: DataFrame, q: DataFrame, k: int, mean: list[float]) -> DataFrame:
+    """(qid, rank, id, score) by distance from ``codes(id, codes, lo, step)``, two constants a row and nothing decoded but the finalists.
+
+    With the query less the mean, a distance is the product of query and codes
+    and sums of each side alone: those of a row are worked out once a batch,
+    for all queries. Queries must be few enough to send to all tasks (checked).
+    """
+    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>"))
+    shape = asks.agg(F.count("vec").alias("m"), F.max(F.size("vec")).alias("d")).first()
+    if not shape["m"]:
+        return codes.sparkSession.createDataFrame([], "qid long, rank int, id long, score double")
+    blocks = max(1, -(-shape["m"] * shape["d"] * 8 // BROADCAST_BYTES))
+    found = None
+    for block in range(blocks):
+        mine = asks if blocks == 1 else asks.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == block)
+        one = _coded_scan(codes, mine, k, np.asarray(mean))
+        found = one if found is None else found.union(one)
+    return topk(found, k).select("qid", "rank", "id", "score")
+
+
+def _coded_scan(codes: DataFrame, asks: DataFrame, k: int, mean: np.ndarray) -> DataFrame:
+    got = asks.toPandas().dropna()
+    sent = codes.sparkSession.sparkContext.broadcast((got["qid"].to_numpy(), np.stack(got["vec"].to_numpy()) - mean))
+
+    def scan(batches):
+        qids, qs = sent.value
+        total, own = qs.sum(1), (qs * qs).sum(1)
+        for batch in batches:
+            batch = batch.filter(batch.column(1).is_valid())
+            for at in range(0, batch.num_rows, 8192):
+                part = batch.slice(at, 8192)
+                ids, c = part.column(0).to_numpy(), _matrix(part.column(1))
+                lo, step = part.column(2).to_numpy(), part.column(3).to_numpy()
+                squares = c.shape[1] * lo * lo + 2 * lo * step * c.sum(1) + step * step * (c * c).sum(1)
+                far = own[:, None] - 2 * (total[:, None] * lo + (qs @ c.T) * step) + squares
+                rows = lambda near, c=c, lo=lo, step=step: lo[near, None] + step[near, None] * c[near]
+                a, b, s = _choose(ids, -np.sqrt(np.maximum(far, 0)), rows, squares.max(initial=0), qids, qs, k, "l2")
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(s)], ["qid", "id", "score"])
+
+    slim = codes.select(F.col("id").cast("long"), F.col("codes").cast("array<int>"), F.col("lo").cast("double"), F.col("step").cast("double"))
+    return slim.mapInArrow(scan, "qid long, id long, score double")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -72,14 +74,15 @@ def bisector_margin(x, xs, xp) -> Column:
     return dot(a, xp) - (dot(x, x) - dot(xs, xs)) / 2
 
 
-def reachable(edges: DataFrame, start: list[int], rounds: int = 64) -> DataFrame:
-    """(id, hops) from the entries on, breadth first; stops when nothing is new."""
+def reachable(edges: DataFrame, start: list[int]) -> DataFrame:
+    """(id, hops) from the entries on, breadth first, until nothing is new."""
     from vecengine.sources.io import staged
 
     spark = edges.sparkSession
     seen = spark.createDataFrame([(int(s), 0) for s in start], "id long, hops int")
-    front = seen
-    for hop in range(1, rounds + 1):
+    front, hop = seen, 0
+    while True:
+        hop += 1
         step = edges.join(front.select(F.col("id").alias("src")), "src").select("id").distinct()
         front = staged(step.join(seen, "id", "left_anti").withColumn("hops", F.lit(hop)), "reach")
         if not front.limit(1).count():
@@ -92,12 +95,12 @@ def degree_stats(edges: DataFrame) -> DataFrame:
     return edges.groupBy("src").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("vertices"))
 
 
-def graph_search_rounds(edges: DataFrame, db: DataFrame, q: DataFrame, k: int, window: int, entry: list[int], kind: str = "l2", track_visited: bool = False, max_rounds: int = 500) -> DataFrame:
+def graph_search_rounds(edges: DataFrame, db: DataFrame, q: DataFrame, k: int, window: int, entry: list[int], kind: str = "l2", track_visited: bool = False) -> DataFrame:
     """Greedy search on one global graph, all queries a round at a time.
 
     The beam of each query is one array, ordered by (score, id), cut to
     ``window``. A round expands the best unexplored vertex of every query that
-    still has one; finished queries leave the loop. Vertices join their edges
+    still has one; finished queries leave the loop, which ends with the last. Vertices join their edges
     and vectors by id, so only the beams move. Returns (qid, rank, id, score,
     hops, evals). ``track_visited`` remembers all scored ids: the answers are
     the same, and evals counts fewer.
@@ -111,11 +114,14 @@ def graph_search_rounds(edges: DataFrame, db: DataFrame, q: DataFrame, k: int, w
     beam = start.groupBy("qid").agg(F.first("qvec").alias("qvec"), F.slice(F.sort_array(F.collect_list("c")), 1, window).alias("beam"), F.count("*").alias("evals"))
     visited = F.transform("beam", lambda c: c["id"]) if track_visited else F.array().cast("array<bigint>")
     state = staged(beam.select("qid", "qvec", "beam", F.lit(0).alias("hops"), "evals", visited.alias("visited")), "beams")
-    finished = None
+    finished = []
     nbrs = staged(adjacency(edges), "adjacency")
-    for _ in range(max_rounds):
+    while True:
         over = state.where(~F.exists("beam", lambda c: ~c["done"]))
-        finished = over if finished is None else finished.unionByName(over)
+        if over.limit(1).count():
+            finished.append(staged(over.select("qid", "hops", "evals", F.slice("beam", 1, k).alias("best")), "beams-done"))
+        if len(finished) > 32:  # keeps the last plan short
+            finished = [staged(reduce(DataFrame.unionByName, finished), "beams-done")]
         live = state.where(F.exists("beam", lambda c: ~c["done"]))
         if not live.limit(1).count():
             break
@@ -133,5 +139,7 @@ def graph_search_rounds(edges: DataFrame, db: DataFrame, q: DataFrame, k: int, w
             merged.select("qid", "qvec", F.slice(F.sort_array(F.concat("beam", "new")), 1, window).alias("beam"), (F.col("hops") + 1).alias("hops"), (F.col("evals") + F.size("new")).alias("evals"), seen.alias("visited")),
             "beams",
         )
-    top = finished.select("qid", "hops", "evals", F.posexplode(F.slice("beam", 1, k)).alias("r", "c"))
+    if not finished:
+        return spark.createDataFrame([], "qid long, rank int, id long, score double, hops int, evals long")
+    top = reduce(DataFrame.unionByName, finished).select("qid", "hops", "evals", F.posexplode("best").alias("r", "c"))
     return top.select("qid", (F.col("r") + 1).alias("rank"), F.col("c.id").alias("id"), (-F.col("c.far")).alias("score"), "hops", "evals")

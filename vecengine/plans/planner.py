@@ -40,7 +40,7 @@ def plan(n: int, d: int, kind: str = "l2", memory_bytes: int | None = None, sele
 
 
 def choose_window(index: DataFrame, q: DataFrame, truth: DataFrame, target: float, k: int = 10, most: int = 512) -> DataFrame:
-    """(window, recall) of each try: doubling up to the target, then halving the interval."""
+    """(window, recall, chosen) of each try: doubling up to the target, then halving the interval; none is chosen if ``most`` does not reach it."""
     tried: dict[int, float] = {}
 
     def recall(w: int) -> float:
@@ -55,5 +55,5 @@ def choose_window(index: DataFrame, q: DataFrame, truth: DataFrame, target: floa
     while high - low > 2 and low >= k:
         middle = (low + high) // 2
         low, high = (low, middle) if recall(middle) >= target else (middle, high)
-    rows = [(w, float(r), w == high) for w, r in sorted(tried.items())]
+    rows = [(w, float(r), w == high and r >= target) for w, r in sorted(tried.items())]
     return q.sparkSession.createDataFrame(rows, "window int, recall double, chosen boolean").withColumn("recall", F.round("recall", 6))

@@ -13,7 +13,7 @@ from vecengine.sources import io
 from vecengine.workloads import base as B
 from vecengine.workloads.base import query
 
-KNN = "knn AS (SELECT a.id AS src, b.id AS id, {score} AS score, row_number() OVER (PARTITION BY a.id ORDER BY {score} DESC, b.id) AS rank FROM {s} a, {s} b WHERE a.id <> b.id QUALIFY rank <= {k})"
+KNN = "knn AS MATERIALIZED (SELECT a.id AS src, b.id AS id, {score} AS score, row_number() OVER (PARTITION BY a.id ORDER BY {score} DESC, b.id) AS rank FROM {s} a, {s} b WHERE a.id <> b.id QUALIFY rank <= {k})"
 
 
 def knn_sql(k: int, source: str = "db", kind: str = "l2") -> str:
@@ -28,8 +28,8 @@ def knn_graph_exact(spark, sf_dir):
 def _prune_sql(alpha: float, degree: int, kind: str, kappa: int = 40) -> str:
     cover = B.score("s.vec", "c.vec", kind)
     return (
-        f"WITH {B.DB}, sub AS (SELECT * FROM db WHERE id < 300), {knn_sql(kappa, 'sub', kind)}, "
-        "c AS (SELECT src, list({'id': knn.id, 'score': score, 'vec': sub.vec} ORDER BY score DESC, knn.id) AS cands FROM knn JOIN sub ON sub.id = knn.id GROUP BY src), "
+        f"WITH {B.DB}, sub AS (SELECT * FROM db), {knn_sql(kappa, 'sub', kind)}, "
+        "c AS MATERIALIZED (SELECT src, list({'id': knn.id, 'score': score, 'vec': sub.vec} ORDER BY score DESC, knn.id) AS cands FROM knn JOIN sub ON sub.id = knn.id GROUP BY src), "
         f"k AS (SELECT src, list_reduce(list_concat([cands[1:0]], list_transform(cands, lambda c: [c])), lambda kept, one: "
         f"CASE WHEN len(kept) >= {degree} OR len(list_filter(kept, lambda s: {alpha} * ({cover.replace('c.vec', 'one[1].vec')}) >= one[1].score)) > 0 THEN kept ELSE list_concat(kept, one) END) AS kept FROM c) "
         "SELECT src, CAST(unnest(range(0, len(kept))) AS INTEGER) AS pos, unnest(list_transform(kept, lambda x: x.id)) AS id FROM k"
@@ -39,7 +39,7 @@ def _prune_sql(alpha: float, degree: int, kind: str, kappa: int = 40) -> str:
 def _prune(name: str, alpha: float, degree: int, kind: str):
     @query(_prune_sql(alpha, degree, kind), name)
     def run(spark, sf_dir):
-        db = io.base(spark, sf_dir).where("id < 300")
+        db = io.base(spark, sf_dir)
         return graph.prune(graph.knn_candidates(db, 40, kind), db, alpha, degree, kind)
 
 
