@@ -7,13 +7,14 @@ run over all rows in Arrow batches.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecengine.operators.exact import topk
+from vecengine.operators.exact import BROADCAST_BYTES, topk
 from vecengine.sources.io import staged
 
 #: Rows at most that fit a codebook.
@@ -164,9 +165,23 @@ def encode_frame(db: DataFrame, pq: Pq, *keep: str) -> DataFrame:
     return slim.mapInArrow(run, f"{kinds}, code binary")
 
 
+def score_aware_eta(threshold: float, d: int) -> float:
+    """What an error along the vector costs against one across it, where only products above ``threshold`` (of unit vectors) matter."""
+    return (d - 1) * threshold**2 / (1 - threshold**2)
+
+
 def scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str = "l2") -> DataFrame:
-    """(qid, rank, id, score) by table look-up over all codes."""
+    """(qid, rank, id, score) by table look-up over all codes; look-up tables go out in blocks of a bounded size."""
+    m = q.count()
+    blocks = max(1, -(-m * pq.books.shape[0] * pq.books.shape[1] * 8 // BROADCAST_BYTES))
+    parts = [_scan(codes, pq, q if blocks == 1 else q.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b), k, kind) for b in range(blocks)]
+    return topk(reduce(DataFrame.union, parts), k).select("qid", "rank", "id", "score")
+
+
+def _scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str) -> DataFrame:
     got = q.toPandas()
+    if not len(got):
+        return codes.sparkSession.createDataFrame([], "qid long, id long, score double")
     sent = codes.sparkSession.sparkContext.broadcast((got["qid"].to_numpy(), pq.table(np.stack(got["vec"].to_numpy()), kind)))
 
     def run(batches):
@@ -180,7 +195,7 @@ def scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str = "l2") -> Da
             best = np.lexsort((np.broadcast_to(ids, s.shape), -s), axis=1)[:, :k]
             yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qids, best.shape[1])), pa.array(ids[best].ravel()), pa.array(np.take_along_axis(s, best, 1).ravel())], ["qid", "id", "score"])
 
-    return topk(codes.select("id", "code").mapInArrow(run, "qid long, id long, score double"), k).select("qid", "rank", "id", "score")
+    return codes.select("id", "code").mapInArrow(run, "qid long, id long, score double")
 
 
 @dataclass

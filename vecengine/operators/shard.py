@@ -9,11 +9,12 @@ window merges them.
 
 from __future__ import annotations
 
+import heapq
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecengine.operators.exact import BROADCAST_BYTES, topk
@@ -31,7 +32,13 @@ def encode(x: np.ndarray, bits: int, lo: np.ndarray, hi: np.ndarray) -> tuple[np
 
 @dataclass
 class Codes:
-    """Rows as a codec stores them; ``rows`` decodes a gather, ``fine`` with the second level too."""
+    """Rows as a codec stores them.
+
+    ``dots`` multiplies queries and stored values without decoding: with a code
+    c, its constants and the mean, q.x = q.mean + lo * sum(q) + step * (q.c), and
+    a row's own square is worked out once. ``rows`` decodes a gather, ``fine``
+    with the second level too; only finalists and pruning need them.
+    """
 
     codec: str
     x: np.ndarray | None = None
@@ -41,13 +48,21 @@ class Codes:
     first: np.ndarray | None = None
     second: np.ndarray | None = None
     bits2: int = 0
+    books: np.ndarray | None = None
+    squares: np.ndarray | None = None
 
     @classmethod
     def of(cls, x: np.ndarray, codec: str, mean: np.ndarray | None = None) -> Codes:
+        """f32, f16, pq<segments> (256 centroids each), or pv / gl with the bits of each level."""
         if codec == "f32":
             return cls(codec, x.astype(np.float32))
         if codec == "f16":
             return cls(codec, x.astype(np.float16))
+        if codec[:2] == "pq":
+            from vecengine.operators import pq
+
+            made = pq.train(x[: pq.TRAIN_ROWS], int(codec[2:]), 256)
+            return cls(codec, first=made.encode(x), mean=np.zeros(x.shape[1]), books=made.books)
         bits = [int(b) for b in codec[2:].split("x")]
         mean = x.mean(axis=0) if mean is None else mean
         c = x - mean
@@ -66,6 +81,9 @@ class Codes:
     def rows(self, i) -> np.ndarray:
         if self.x is not None:
             return self.x[i].astype(np.float64)
+        if self.books is not None:
+            parts = self.books[np.arange(len(self.books)), self.first[i]]
+            return parts.reshape(*parts.shape[:-2], -1)[..., : len(self.mean)]
         return self.first[i] * self.step[i][..., None] + self.lo[i][..., None] + self.mean
 
     def fine(self, i) -> np.ndarray:
@@ -74,6 +92,45 @@ class Codes:
         step = self.step[i][..., None]
         return self.rows(i) + self.second[i] * (step / (2**self.bits2 - 1)) - step / 2
 
+    def scorer(self, q: np.ndarray, kind: str, carried: np.ndarray | None = None):
+        """A function (query places, row places) -> scores, in single precision from stored values alone.
+
+        ``carried`` holds the codes of every vertex' neighbours side by side;
+        the function then takes (query places, vertices, positions, row places).
+        """
+        if self.books is not None:
+            # Look-ups: what each centroid of each segment adds.
+            width = self.books.shape[2]
+            parts = np.pad(q, ((0, 0), (0, self.books.shape[0] * width - q.shape[1]))).reshape(len(q), -1, 1, width)
+            table = ((parts * self.books).sum(3) if kind == "ip" else -((parts - self.books) ** 2).sum(3)).astype(np.float32)
+            segments = np.arange(len(self.books))
+
+            def look(at, rows):
+                s = table[at[:, None], segments, self.first[rows]].sum(axis=1)
+                return s if kind == "ip" else -np.sqrt(np.maximum(-s, 0))
+
+            return look
+        if self.squares is None:
+            n = len(self)
+            chunks = [self.rows(slice(i, i + 65_536)) for i in range(0, n, 65_536)]
+            self.squares = np.concatenate([np.empty(0), *((c * c).sum(axis=1) for c in chunks)]).astype(np.float32)
+        raw = self.x if self.x is not None else self.first
+        turned = q.astype(np.float32)
+        own = (q * q).sum(axis=1).astype(np.float32)
+        if self.x is None:
+            lo, step = self.lo.astype(np.float32), self.step.astype(np.float32)
+            base, total = (q @ self.mean).astype(np.float32), q.sum(axis=1).astype(np.float32)
+
+        def run(at, *where):
+            rows = where[-1]
+            stored = raw[rows] if len(where) == 1 else carried[where[0], where[1]]
+            dots = np.einsum("nd,nd->n", turned[at], stored.astype(np.float32, copy=False))
+            if self.x is None:
+                dots = base[at] + lo[rows] * total[at] + step[rows] * dots
+            return dots if kind == "ip" else -np.sqrt(np.maximum(own[at] - 2 * dots + self.squares[rows], 0))
+
+        return run
+
 
 def score(a: np.ndarray, b: np.ndarray, kind: str) -> np.ndarray:
     """(m, d) against (m, c, d)."""
@@ -90,61 +147,97 @@ class Graph:
     kind: str = "l2"
     entry: int = 0
     nbrs: np.ndarray = field(default=None)
+    #: Codes of each vertex' neighbours, side by side; set by ``carry``.
+    carried: np.ndarray = field(default=None)
 
     def __post_init__(self):
         if self.nbrs is None:
             self.nbrs = np.full((len(self.codes), self.degree), -1, np.int32)
 
+    def carry(self) -> Graph:
+        """Neighbour lists with the neighbours' codes in them: a vertex is expanded by one contiguous read, for R times the codes' memory."""
+        self.carried = (self.codes.first if self.codes.x is None else self.codes.x)[np.maximum(self.nbrs, 0)]
+        return self
+
     def search(self, q: np.ndarray, k: int, window: int, entry: np.ndarray | None = None, visited: bool = False, rerank: bool = False):
         """(ids, scores, hops, evals) of each query; missing places are -1.
 
-        The beam is one sorted buffer. Without ``visited`` only ids in the beam
-        are skipped, so some vertices are scored again: the answers are alike.
+        The beam is one buffer that keeps the best ``window``. Without
+        ``visited`` only ids in the beam are skipped, so some vertices are scored
+        again: the answers are alike. Vertices are scored from codes; the final
+        beam is scored anew in double precision by what is decoded, with
+        ``rerank`` by both levels.
         """
         m, w = len(q), max(window, k)
+        scorer = self.codes.scorer(q, self.kind, self.carried)
         at = np.full((m, 1), self.entry) if entry is None else np.asarray(entry).reshape(m, 1)
-        ids, val = np.full((m, w), -1, np.int64), np.full((m, w), -np.inf)
-        ids[:, :1], val[:, :1] = at, score(q, self.codes.rows(at), self.kind)
+        ids, val = np.full((m, w), -1, np.int64), np.full((m, w), -np.inf, np.float32)
+        first = score(q, self.codes.rows(at), self.kind)
+        ids[:, :1], val[:, :1] = at, first
         done = ids < 0
         hops, evals = np.zeros(m, int), np.ones(m, int)
         seen = np.zeros((m, len(self.codes)), bool) if visited else None
         if visited:
             seen[np.arange(m), at[:, 0]] = True
         live = np.arange(m)
+        bi, bv, bd = ids, val, done
         while len(live):
-            pick = np.argmin(done[live], axis=1)
-            node = ids[live, pick]
-            done[live, pick] = True
+            pick = np.argmax(np.where(bd, -np.inf, bv), axis=1)
+            each = np.arange(len(live))
+            node = bi[each, pick]
+            bd[each, pick] = True
             hops[live] += 1
             new = self.nbrs[node].astype(np.int64)
-            bad = (new < 0) | (new[:, :, None] == ids[live][:, None, :]).any(axis=2)
+            bad = (new < 0) | (new[:, :, None] == bi[:, None, :]).any(axis=2)
             if visited:
                 bad |= seen[live[:, None], np.maximum(new, 0)]
-                rows, cols = np.nonzero(~bad)
-                seen[live[rows], new[rows, cols]] = True
-            s = score(q[live], self.codes.rows(np.maximum(new, 0)), self.kind)
-            evals[live] += (~bad).sum(axis=1)
-            s[bad] = -np.inf
+            r, c = np.nonzero(~bad)
+            rows = new[r, c]
+            if visited:
+                seen[live[r], rows] = True
+            evals[live] += np.bincount(r, minlength=len(live))
+            s = np.full(new.shape, -np.inf, np.float32)
+            s[r, c] = scorer(live[r], rows) if self.carried is None else scorer(live[r], node[r], c, rows)
             new[bad] = -1
-            both_i, both_s = np.concatenate((ids[live], new), axis=1), np.concatenate((val[live], s), axis=1)
-            both_d = np.concatenate((done[live], bad), axis=1)
-            order = np.lexsort((both_i, -both_s), axis=1)[:, :w]
-            take = lambda a: np.take_along_axis(a, order, axis=1)  # noqa: E731, B023
-            ids[live], val[live], done[live] = take(both_i), take(both_s), take(both_d)
-            live = live[~done[live].all(axis=1)]
-        if rerank:
-            val = np.where(ids >= 0, score(q, self.codes.fine(np.maximum(ids, 0)), self.kind), -np.inf)
-            order = np.lexsort((ids, -val), axis=1)
-            ids, val = np.take_along_axis(ids, order, axis=1), np.take_along_axis(val, order, axis=1)
-        return ids[:, :k], val[:, :k], hops, evals
+            both_i, both_s, both_d = np.concatenate((bi, new), axis=1), np.concatenate((bv, s), axis=1), np.concatenate((bd, bad), axis=1)
+            best = np.argpartition(-both_s, w - 1, axis=1)[:, :w]
+            bi, bv, bd = (np.take_along_axis(x, best, axis=1) for x in (both_i, both_s, both_d))
+            over = bd.all(axis=1)
+            if over.any():
+                ids[live[over]] = bi[over]
+                live, bi, bv, bd = live[~over], bi[~over], bv[~over], bd[~over]
+        decoded = self.codes.fine if rerank else self.codes.rows
+        val = np.where(ids >= 0, score(q, decoded(np.maximum(ids, 0)), self.kind), -np.inf)
+        order = np.lexsort((ids, -val), axis=1)[:, :k]
+        return np.take_along_axis(ids, order, axis=1), np.take_along_axis(val, order, axis=1), hops, evals
+
+    def search_heap(self, q: np.ndarray, k: int, window: int):
+        """(ids, scores) of one query, with two heaps in place of the buffer: the same answer."""
+        w, scorer, zero = max(window, k), self.codes.scorer(q[None], self.kind), np.zeros(1, np.int64)
+        best = float(scorer(zero, np.array([self.entry]))[0])
+        open_, beam, seen = [(-best, self.entry)], [(best, -self.entry)], {self.entry}
+        while open_:
+            far, node = heapq.heappop(open_)
+            if len(beam) == w and -far < beam[0][0]:
+                break
+            new = np.array([v for v in self.nbrs[node].tolist() if v >= 0 and v not in seen], np.int64)
+            seen.update(new.tolist())
+            for v, s in zip(new.tolist(), scorer(np.zeros(len(new), np.int64), new).tolist() if len(new) else (), strict=True):
+                if len(beam) < w or (s, -v) > beam[0]:
+                    heapq.heappush(open_, (-s, v))
+                    (heapq.heappush if len(beam) < w else heapq.heapreplace)(beam, (s, -v))
+        ids = np.array([-v for _, v in beam])
+        val = score(q[None], self.codes.rows(ids[None]), self.kind)[0]
+        order = np.lexsort((ids, -val))[:k]
+        return ids[order], val[order]
 
     def prune(self, src: np.ndarray, cands: np.ndarray, alpha: float) -> np.ndarray:
         """Kept candidates (-1 filled) of each source; repeated ones and the source itself never count."""
         cands = np.sort(cands, axis=1)
         cands[:, 1:][cands[:, 1:] == cands[:, :-1]] = -1
         cands[cands == src[:, None]] = -1
-        x = self.codes.rows(np.maximum(cands, 0))
-        own = score(self.codes.rows(src), x, self.kind)
+        x = self.codes.rows(np.maximum(cands, 0)).astype(np.float32)
+        own = score(self.codes.rows(src).astype(np.float32), x, self.kind)
         own[cands < 0] = -np.inf
         order = np.lexsort((cands, -own), axis=1)
         cands, own = np.take_along_axis(cands, order, axis=1), np.take_along_axis(own, order, axis=1)
@@ -235,14 +328,14 @@ class Layers:
         return ids, val, hops, evals + e
 
 
-_SCHEMA = "shard int, n int, d int, kind string, codec string, degree int, entry int, ids binary, first binary, second binary, lo binary, step binary, mean binary, nbrs binary"
+_SCHEMA = "shard int, n int, d int, kind string, codec string, degree int, entry int, ids binary, first binary, second binary, lo binary, step binary, mean binary, nbrs binary, books binary"
 
 
 def build_index(db: DataFrame, codec: str = "pv8", degree: int = 16, window: int = 32, alphas: tuple[float, ...] = (1.0, 1.2), kind: str = "l2", mean: list[float] | None = None, search_codec: str | None = None, shard: str = "shard") -> DataFrame:
     """One row for each shard of ``db(shard, id, vec)``: its graph, built from codes.
 
     ``search_codec`` may differ from the codec the graph is built from. A shard
-    must fit one task: about a million rows.
+    must fit one task: ``planner.deal`` bounds its rows and bytes.
     """
     mu = None if mean is None else np.asarray(mean)
 
@@ -253,7 +346,7 @@ def build_index(db: DataFrame, codec: str = "pv8", degree: int = 16, window: int
         g = Graph(Codes.of(x, codec, mu), degree, kind).build(window, alphas)
         c = g.codes if search_codec in (None, codec) else Codes.of(x, search_codec, mu)
         raw = lambda a: None if a is None else np.ascontiguousarray(a).tobytes()
-        row = [int(t.column("shard")[0].as_py()), len(ids), x.shape[1], kind, c.codec, degree, g.entry, raw(ids[order]), raw(c.x if c.x is not None else c.first), raw(c.second), raw(c.lo), raw(c.step), raw(c.mean), raw(g.nbrs)]
+        row = [int(t.column("shard")[0].as_py()), len(ids), x.shape[1], kind, c.codec, degree, g.entry, raw(ids[order]), raw(c.x if c.x is not None else c.first), raw(c.second), raw(c.lo), raw(c.step), raw(c.mean), raw(g.nbrs), raw(c.books)]
         names = [f.split()[0] for f in _SCHEMA.split(", ")]
         kinds = {"int": pa.int32(), "string": pa.string(), "binary": pa.binary()}
         return pa.table({n: pa.array([v], kinds[f.split()[1]]) for n, v, f in zip(names, row, _SCHEMA.split(", "), strict=True)})
@@ -265,7 +358,12 @@ def _open(row) -> tuple[np.ndarray, Graph]:
     ids = np.frombuffer(row["ids"], np.int64)
     shape = (row["n"], row["d"])
     codec = row["codec"]
-    if codec in ("f32", "f16"):
+    if codec[:2] == "pq":
+        books = np.frombuffer(row["books"])
+        mean = np.frombuffer(row["mean"])
+        segments = int(codec[2:])
+        codes = Codes(codec, first=np.frombuffer(row["first"], np.uint8).reshape(row["n"], -1), mean=mean, books=books.reshape(segments, -1, -(-len(mean) // segments)))
+    elif codec in ("f32", "f16"):
         codes = Codes(codec, np.frombuffer(row["first"], np.float32 if codec == "f32" else np.float16).reshape(shape))
     else:
         bits = [int(b) for b in codec[2:].split("x")]
@@ -289,34 +387,72 @@ def edges_of(index: DataFrame) -> DataFrame:
     return index.select("shard", "n", "ids", "nbrs").mapInArrow(run, "shard int, src long, id long")
 
 
-def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bool = False, visited: bool = False) -> DataFrame:
+def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bool = False, visited: bool = False, carry: bool = False, batch: int = QUERY_BATCH) -> DataFrame:
     """(qid, rank, id, score, hops, evals): every shard searched, best k of all.
 
     hops and evals sum over shards. With ``rerank`` the final beam is scored
-    anew by both levels; the second level is not read before. Queries must be
-    few enough to send to all tasks (checked): route or split larger sets.
+    anew by both levels; the second level is not read before. ``carry`` searches
+    with the neighbours' codes in the lists. ``batch`` queries move together; 1
+    takes them one at a time. Queries are sent to all tasks in blocks of a
+    bounded size, one scan of the index for each.
     """
     spark = q.sparkSession
-    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>")).where("vec is not null")
-    shape = asks.agg(F.count("*").alias("m"), F.max(F.size("vec")).alias("d")).first()
+    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>"))
+    shape = asks.agg(F.count("vec").alias("m"), F.max(F.size("vec")).alias("d")).first()
     if not shape["m"]:
         return spark.createDataFrame([], "qid long, rank int, id long, score double, hops long, evals long")
-    if shape["m"] * shape["d"] * 8 > BROADCAST_BYTES:
-        raise ValueError("too many queries for one call: split them into blocks")
-    got = asks.toPandas()
-    sent = spark.sparkContext.broadcast((got["qid"].to_numpy(), np.stack(got["vec"].to_numpy())))
+    blocks = max(1, -(-shape["m"] * shape["d"] * 8 // BROADCAST_BYTES))
     columns = [c for c in index.columns if rerank or c != "second"]
 
-    def run(batches):
-        qids, qs = sent.value
-        for batch in batches:
-            for row in batch.to_pylist():
-                ids, g = _open({"second": None} | row)
-                for at in range(0, len(qs), QUERY_BATCH):
-                    found, val, hops, evals = g.search(qs[at : at + QUERY_BATCH], min(k, len(ids)), window, visited=visited, rerank=rerank)
-                    r, c = np.nonzero(found >= 0)
-                    yield pa.RecordBatch.from_arrays([pa.array(qids[at : at + QUERY_BATCH][r]), pa.array(ids[found[r, c]]), pa.array(val[r, c]), pa.array(np.where(c == 0, hops[r], 0)), pa.array(np.where(c == 0, evals[r], 0))], ["qid", "id", "score", "hops", "evals"])
-
-    found = index.select(*columns).mapInArrow(run, "qid long, id long, score double, hops long, evals long")
+    def found_by(got) -> DataFrame:
+        sent = spark.sparkContext.broadcast((got["qid"].to_numpy(), np.stack(got["vec"].to_numpy())))
+
+        def run(batches):
+            qids, qs = sent.value
+            for rows in batches:
+                for i in range(rows.num_rows):
+                    row = {c: rows.column(j)[i] for j, c in enumerate(columns)}
+                    # Large cells are read in place, not copied.
+                    row = {"second": None} | {c: (v.as_buffer() if v.is_valid else None) if pa.types.is_binary(v.type) else v.as_py() for c, v in row.items()}
+                    ids, g = _open(row)
+                    g = g.carry() if carry else g
+                    for at in range(0, len(qs), batch):
+                        found, val, hops, evals = g.search(qs[at : at + batch], min(k, len(ids)), window, visited=visited, rerank=rerank)
+                        r, c = np.nonzero(found >= 0)
+                        yield pa.RecordBatch.from_arrays([pa.array(qids[at : at + batch][r]), pa.array(ids[found[r, c]]), pa.array(val[r, c]), pa.array(np.where(c == 0, hops[r], 0)), pa.array(np.where(c == 0, evals[r], 0))], ["qid", "id", "score", "hops", "evals"])
+
+        return index.select(*columns).mapInArrow(run, "qid long, id long, score double, hops long, evals long")
+
+    found = None
+    for block in range(blocks):
+        mine = asks if blocks == 1 else asks.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == block)
+        one = found_by(mine.toPandas().dropna())
+        found = one if found is None else found.union(one)
     cost = found.groupBy("qid").agg(F.sum("hops").alias("hops"), F.sum("evals").alias("evals"))
     return topk(found.select("qid", "id", "score"), k).join(cost, "qid").select("qid", "rank", "id", "score", "hops", "evals")
+
+
+def search_layers(db: DataFrame, q: DataFrame, k: int, windows: tuple[int, ...], degree: int, build_window: int, kind: str = "l2", shard: str = "shard") -> DataFrame:
+    """(window, qid, rank, id, score, evals) by a hierarchy of graphs for each shard of ``db(shard, id, vec)``, built and searched in one task."""
+    asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>")).toPandas().dropna()
+    if len(asks) and len(asks) * len(asks["vec"].iloc[0]) * 8 > BROADCAST_BYTES:
+        raise ValueError("the queries of one build must fit a broadcast")
+    sent = db.sparkSession.sparkContext.broadcast((asks["qid"].to_numpy(), np.stack(asks["vec"].to_numpy())))
+
+    def run(t: pa.Table) -> pa.Table:
+        qids, qs = sent.value
+        ids = t.column("id").to_numpy()
+        order = np.argsort(ids, kind="stable")
+        x = t.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)[order]
+        layers, out = Layers.build(lambda keep: Codes.of(x[keep], "f32"), ids[order], degree, build_window, kind), []
+        for w in windows:
+            found, val, _, evals = layers.search(qs, min(k, len(ids)), w)
+            r, c = np.nonzero(found >= 0)
+            out.append(pa.table({"window": pa.array(np.full(len(r), w, np.int32)), "qid": qids[r], "id": ids[order][found[r, c]], "score": val[r, c], "evals": np.where(c == 0, evals[r], 0)}))
+        return pa.concat_tables(out)
+
+    found = db.select(F.col(shard).cast("int").alias("shard"), F.col("id").cast("long"), F.col("vec").cast("array<double>")).groupBy("shard").applyInArrow(run, "window int, qid long, id long, score double, evals long")
+    best = Window.partitionBy("window", "qid").orderBy(F.desc("score"), "id")
+    every = Window.partitionBy("window", "qid")
+    ranked = found.withColumn("rank", F.row_number().over(best)).withColumn("evals", F.sum("evals").over(every))
+    return ranked.where(F.col("rank") <= k).select("window", "qid", "rank", "id", "score", "evals")

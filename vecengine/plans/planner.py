@@ -11,6 +11,8 @@ from vecengine.operators import measures, shard
 
 #: Rows up to which an exhaustive scan is chosen, and rows of a shard.
 SCAN_ROWS, SHARD_ROWS = 20_000, 1_000_000
+#: Bytes of the largest array of a shard: it is one cell of a row, and a task holds a few of them.
+SHARD_BYTES = 512 << 20
 
 
 @dataclass(frozen=True)
@@ -30,13 +32,23 @@ def defaults(n: int, kind: str = "l2") -> tuple[int, tuple[float, ...]]:
     return degree, (1.0, 0.95) if kind == "ip" else (1.0, 1.2)
 
 
+def shards(n: int, d: int, rows: int = SHARD_ROWS) -> int:
+    """Shards of n rows of d components."""
+    return max(1, -(-n // max(1, min(rows, SHARD_BYTES // (4 * max(1, d))))))
+
+
+def deal(db: DataFrame, n: int, d: int, rows: int = SHARD_ROWS) -> DataFrame:
+    """``db`` with its rows dealt evenly, by hash, to as many shards as it needs."""
+    return db.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards(n, d, rows))).cast("int"))
+
+
 def plan(n: int, d: int, kind: str = "l2", memory_bytes: int | None = None, selectivity: float = 1.0) -> SearchSpec:
     """Scan small or strongly filtered data; else a graph, with two levels if memory and dimension favour it."""
     degree, alphas = defaults(n, kind)
     if n * selectivity <= SCAN_ROWS:
         return SearchSpec("scan", "f32", 0, 0, (), 1, True)
     two = d >= 256 and (memory_bytes is None or memory_bytes >= n * (1.5 * d + 4 * degree))
-    return SearchSpec("graph", "pv4x8" if two else "pv8", degree, 2 * degree, alphas, max(1, -(-n // SHARD_ROWS)), selectivity < 0.05)
+    return SearchSpec("graph", "pv4x8" if two else "pv8", degree, 2 * degree, alphas, shards(n, d), selectivity < 0.05)
 
 
 def choose_window(index: DataFrame, q: DataFrame, truth: DataFrame, target: float, k: int = 10, most: int = 512) -> DataFrame:
