@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecengine.functions import quantize
-from vecengine.functions.vectors import center, sim
-from vecengine.operators.exact import topk
+from vecengine.functions.vectors import center
+from vecengine.operators.exact import exact_knn
 
 
 def windowed_counts(events: DataFrame, size: str, slide: str | None = None, late: str | None = None) -> DataFrame:
@@ -42,12 +43,48 @@ def encode_stream(stream: DataFrame, mean: list[float], bits: int, version: int)
     return stream.withColumn("q", quantize.pvq(center("vec", mean), bits)).withColumn("model_version", F.lit(version)).drop("vec")
 
 
+def deduplicated(stream: DataFrame, keys: list[str], late: str) -> DataFrame:
+    """The first row of each key; a repetition drops out if it comes within ``late`` of event time, and state older than that goes."""
+    return stream.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", late).dropDuplicatesWithinWatermark(keys).drop("at")
+
+
+def followed(first: DataFrame, then: DataFrame, key: str, within: str, late: str) -> DataFrame:
+    """Rows of ``then`` within a time after one of ``first`` with the same key; both are streams or tables of (id, key, ts)."""
+    a = first.select(F.col("event_id").alias("first"), F.col(key).alias("k1"), F.col("ts").cast("timestamp").alias("t1")).withWatermark("t1", late)
+    b = then.select(F.col("event_id").alias("then"), F.col(key).alias("k2"), F.col("ts").cast("timestamp").alias("t2")).withWatermark("t2", late)
+    return a.join(b, (F.col("k1") == F.col("k2")) & (F.col("t2") >= F.col("t1")) & (F.col("t2") <= F.col("t1") + F.expr(f"INTERVAL {within}"))).select("first", "then")
+
+
+def user_vectors(events: DataFrame, kinds: list[str]) -> DataFrame:
+    """Stateful: (user_id, n, total, counts) after each batch in which a user occurs, counts by event type; the state is these sums."""
+    state = f"n long, total double, {', '.join(f'c{i} long' for i in range(len(kinds)))}"
+
+    def step(key, frames, held):
+        now = list(held.get) if held.exists else [0, 0.0] + [0] * len(kinds)
+        for f in frames:
+            now[0] += len(f)
+            now[1] += float(f["value"].sum())
+            for i, kind in enumerate(kinds):
+                now[2 + i] += int((f["event_type"] == kind).sum())
+        held.update(tuple(now))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [now[0]], "total": [now[1]], "counts": [now[2:]]})
+
+    slim = events.select("user_id", "event_type", F.col("value").cast("double"))
+    return slim.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, total double, counts array<long>", state, "update", "NoTimeout")
+
+
+def merged(base: DataFrame, log: DataFrame, key: str, order: list[str], op: str, gone: str) -> DataFrame:
+    """A base table after a log of upserts and deletions: the base without keys that the log names, and each key's last state unless deleted."""
+    last = log.groupBy(key).agg(F.max_by(F.struct("*"), F.struct(*order)).alias("r")).select("r.*")
+    kept = base.join(last.select(key), key, "left_anti")
+    return kept.unionByName(last.where(F.col(op) != gone).select(*base.columns))
+
+
 def standing_knn(stream: DataFrame, db: DataFrame, sink, k: int = 5):
     """A query whose batches search a static table; ``sink(found, epoch)`` gets the results."""
 
     def batch(asks: DataFrame, epoch: int) -> None:
-        pairs = db.crossJoin(F.broadcast(asks.select("qid", F.col("vec").alias("qvec"))))  # one trigger's queries
-        sink(topk(pairs.select("qid", "id", sim("qvec", "vec").alias("score")), k), epoch)
+        sink(exact_knn(db, asks, k), epoch)
 
     return stream.writeStream.foreachBatch(batch)
 

@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from vecengine.functions import sqlfuncs
+from vecengine.functions.vectors import sim
 from vecengine.operators import exact, measures, model
 from vecengine.sources import io
 from vecengine.streaming import flows
@@ -127,3 +128,84 @@ def udf_arrow_encode(spark, sf_dir):
 def udaf_mean(spark, sf_dir):
     m = io.vectors(spark, sf_dir).groupBy("label").agg(sqlfuncs.vec_mean("vec").alias("m"))
     return m.select("label", F.posexplode("m").alias("j", "mu")).withColumn("mu", F.round("mu", 9))
+
+
+_TUMBLING = "SELECT strftime(time_bucket(INTERVAL 1 HOUR, ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n, CAST(sum(CAST(value AS DECIMAL(18,4))) AS DOUBLE) AS total FROM events GROUP BY ALL"
+
+
+@query(_TUMBLING)
+def stream_tumbling(spark, sf_dir):
+    """The same windows from a stream of files, with a watermark longer than the events are spread."""
+    w = flows.windowed_counts(_stream(spark, io.table(spark, sf_dir, "events")), "1 hour", late="3650 days")
+    done = flows.drain(spark, w, f"windows_{uuid.uuid4().hex}")
+    return done.withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
+
+
+@query("SELECT event_type, count(*) AS n, count(DISTINCT event_id) AS kinds FROM events GROUP BY event_type")
+def stream_dedup(spark, sf_dir):
+    """Every event arrives twice; each is kept once."""
+    e = io.table(spark, sf_dir, "events").select("event_id", "event_type", "ts")
+    s = flows.deduplicated(_stream(spark, e.union(e)), ["event_id"], "3650 days")
+    done = flows.drain(spark, s, f"once_{uuid.uuid4().hex}", "append")
+    return done.groupBy("event_type").agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("kinds"))
+
+
+@query("SELECT c.event_id AS first, p.event_id AS \"then\" FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click' AND p.event_type = 'purchase'")
+def stream_click_purchase(spark, sf_dir):
+    """Two streams joined within an hour."""
+    e = io.table(spark, sf_dir, "events").select("event_id", "user_id", "event_type", "ts")
+    clicks, buys = (_stream(spark, e.where(F.col("event_type") == kind).drop("event_type"), 2) for kind in ("click", "purchase"))
+    return flows.drain(spark, flows.followed(clicks, buys, "user_id", "1 HOUR", "3650 days"), f"followed_{uuid.uuid4().hex}", "append")
+
+
+_KINDS = ("view", "click", "purchase", "signup", "error")
+
+
+@query("SELECT user_id, count(*) AS n, round(sum(value), 4) AS total, " + " || ',' || ".join(f"CAST(count(*) FILTER (WHERE event_type = '{k}') AS VARCHAR)" for k in _KINDS) + " AS counts FROM events GROUP BY user_id")
+def stateful_user_vectors(spark, sf_dir):
+    """Vectors of users, kept as state while their events arrive."""
+    s = flows.user_vectors(_stream(spark, io.table(spark, sf_dir, "events")), list(_KINDS))
+    done = flows.drain(spark, s, f"users_{uuid.uuid4().hex}", "update")
+    last = done.groupBy("user_id").agg(F.max_by(F.struct("n", "total", "counts"), "n").alias("r")).select("user_id", "r.*")
+    return last.select("user_id", "n", F.round("total", 4).alias("total"), F.concat_ws(",", F.transform("counts", lambda c: c.cast("string"))).alias("counts"))
+
+
+_LOG = "l AS (SELECT user_id AS id, arg_max(event_type, (ts, event_id)) AS op FROM events GROUP BY user_id)"
+
+
+@query(f"WITH {B.EMB}, {_LOG}, db AS (SELECT emb.id, CASE WHEN op = 'purchase' THEN list_transform(vec, lambda x: -x) ELSE vec END AS vec FROM emb LEFT JOIN l ON l.id = emb.id WHERE emb.id % 10 <> 0 AND coalesce(op, '') <> 'error'), q AS (SELECT id AS qid, vec FROM emb WHERE id % 10 = 0) SELECT qid, CAST(rank AS INTEGER) AS rank, id FROM ({B.knn()})")
+def delta_search(spark, sf_dir):
+    """Search after a log: a user's last event deletes the vector (error), turns it (purchase) or keeps it."""
+    base = io.base(spark, sf_dir)
+    log = io.table(spark, sf_dir, "events").select(F.col("user_id").alias("id"), "event_id", "event_type", "ts")
+    changed = log.join(base, "id").withColumn("vec", F.when(F.col("event_type") == "purchase", F.transform("vec", lambda x: -x)).otherwise(F.col("vec")))
+    now = flows.merged(base, changed, "id", ["ts", "event_id"], "event_type", "error")
+    return exact.exact_knn(now, io.held_out(spark, sf_dir), 10).select("qid", "rank", "id")
+
+
+@query(f"WITH {B.MEAN}, {B.pv(4)} SELECT id, CAST(unnest(range(0, len(codes))) AS INTEGER) AS j, unnest(codes) AS code, round(unnest(list_transform(codes, lambda c: lo + step * c)), 9) AS approx FROM enc")
+def udtf_cells(spark, sf_dir):
+    """Codes as rows by a table function, joined laterally."""
+    sqlfuncs.register(spark)
+    db = io.base(spark, sf_dir)
+    model.centered(db, model.dataset_mean(db)).createOrReplaceTempView("ve_centered")
+    return spark.sql("SELECT id, j, code, round(approx, 9) AS approx FROM ve_centered, LATERAL pvq_cells(vec, 4)")
+
+
+@query(f"WITH {B.DB}, s AS (SELECT id, {B.score('a.vec', 'db.vec')} AS score FROM db, (SELECT vec FROM q ORDER BY qid LIMIT 1) a) SELECT id, round(score, 6) AS score FROM s ORDER BY score DESC, id LIMIT 10")
+def udtf_best(spark, sf_dir):
+    """The ten best rows for one query by a table function over partitions, merged."""
+    sqlfuncs.register(spark)
+    one = F.array(*(F.lit(float(x)) for x in io.held_out(spark, sf_dir).orderBy("qid").first()["vec"]))
+    scored = io.base(spark, sf_dir).select("id", sim(one, "vec").alias("score"), F.pmod("id", F.lit(8)).alias("part"))
+    scored.createOrReplaceTempView("ve_scored")
+    parts = spark.sql("SELECT * FROM best_of(row => TABLE(SELECT * FROM ve_scored) PARTITION BY part, k => 10)")
+    return parts.orderBy(F.desc("score"), "id").limit(10).select("id", F.round("score", 6).alias("score"))
+
+
+@query(f"WITH {B.MEAN}, {B.pv(4)} SELECT id, {B.text_of('codes')} AS codes FROM enc")
+def sql_pvq_codes(spark, sf_dir):
+    sqlfuncs.register(spark)
+    db = io.base(spark, sf_dir)
+    model.centered(db, model.dataset_mean(db)).createOrReplaceTempView("ve_centered")
+    return spark.sql("SELECT id, array_join(transform(pvq_codes(vec, 15), c -> cast(c AS string)), ',') AS codes FROM ve_centered")

@@ -89,6 +89,17 @@ def half_precision_bounds(spark, sf_dir):
     return c.select("id", quantize.half_round(F.array_min("vec")).alias("lo16"), quantize.half_round(F.array_max("vec")).alias("hi16"))
 
 
+@query(
+    f"WITH {B.MEAN}, b AS (SELECT id, vec, list_min(vec) AS l, list_max(vec) AS h FROM cen), r AS (SELECT id, vec, {_half_sql('l')} AS lo, {_half_sql('h')} AS hi FROM b), "
+    f"e AS (SELECT id, vec, lo, (hi - lo) / 255.0::DOUBLE AS step FROM r) SELECT id, {B.text_of('list_transform(vec, lambda x: ' + B.code_of('x', 'lo', 'step', 8) + ')')} AS codes, round(lo, 9) AS lo, round(step, 9) AS step FROM e"
+)
+def pvq_encode_8_f16(spark, sf_dir):
+    """Constants rounded to half precision before anything is coded by them."""
+    db = io.base(spark, sf_dir)
+    q = model.centered(db, model.dataset_mean(db)).withColumn("q", quantize.pvq("vec", 8, "f16"))
+    return q.select("id", _joined("q.codes").alias("codes"), F.round("q.lo", 9).alias("lo"), F.round("q.step", 9).alias("step"))
+
+
 @query(
     f"WITH {B.MEAN}, {B.pv(8, 'cen', 'e8')}, {B.pv(4, 'cen', 'e4')} SELECT e8.id, CAST(len(e8.codes) AS BIGINT) AS bytes8, CAST(ceil(len(e4.codes) / 2.0) AS BIGINT) AS bytes4, "
     "CAST(ceil(len(e8.codes) / 32.0) * 32 AS BIGINT) AS padded8 FROM e8 JOIN e4 ON e8.id = e4.id"
@@ -153,6 +164,15 @@ def _knn_of(codec: str, name: str):
         return exact.exact_knn(model.encode(io.base(spark, sf_dir), codec), io.held_out(spark, sf_dir), 10).withColumn("score", F.round("score", 6))
 
 
+@query(
+    f"WITH {B.DB}, s AS (SELECT max(list_max(list_transform(vec, lambda x: abs(x)))) / 127.0::DOUBLE AS s FROM db), dec AS (SELECT id, list_transform(vec, lambda x: floor(x / s + 0.5) * s) AS vec FROM db, s) "
+    f"SELECT qid, CAST(rank AS INTEGER) AS rank, id, round(score, 6) AS score FROM ({B.knn('dec')})"
+)
+def low_precision_knn(spark, sf_dir):
+    """One symmetric 8-bit scale for all components of all vectors, nothing centered."""
+    return exact.exact_knn(model.encode(io.base(spark, sf_dir), "lp8"), io.held_out(spark, sf_dir), 10).withColumn("score", F.round("score", 6))
+
+
 for _c, _n in (("gl4", "global_quantize_4"), ("gl8", "global_quantize_8"), ("gl4x4", "global_two_level"), ("pd4", "per_dim_quantize_4")):
     _knn_of(_c, _n)
 
