@@ -38,8 +38,79 @@ def test_topk_against_brute_force_with_ties(spark):
 
 def test_threshold_search_stops_early():
     x = np.arange(4000)[:, None] * np.ones((1, 3), np.int64)
-    _, scores, seen = topk.SortedLists(np.arange(4000), x.astype(np.int64)).top(np.array([1, 2, 3]), 3, None)
+    lists = topk.SortedLists(np.arange(4000), x.astype(np.int64))
+    _, scores, seen = lists.top(np.array([1, 2, 3]), 3, None)
     assert scores[0] == 6 * 3999 and seen < 100
+    # A score that must be reached closes the block unread.
+    assert lists.top(np.array([1, 2, 3]), 3, None, 6 * 4000)[2] == 0
+    rows, scores, _ = lists.top(np.array([1, 2, 3]), 3, 3999, 6 * 3998)
+    assert rows.tolist() == [3998] and scores.tolist() == [6 * 3998]
+
+
+def test_topk_over_blocks_shares_the_kth_score(spark, monkeypatch):
+    monkeypatch.setattr(topk, "ROW_BLOCK", 100)
+    monkeypatch.setattr(topk, "QUERY_BLOCK", 7)
+    rng = np.random.default_rng(9)
+    # Few components carry most of a product, so the lists of these settle it.
+    x = rng.normal(size=(900, 12)) * 0.3 ** np.arange(12)
+    x[400:410] = x[0]
+    rows = [(i, [float(c) for c in v], "s") for i, v in enumerate(x)] + [(5000, [1.0, 2.0], "s"), (5001, [3.0, 1.0], "s"), (5002, [], "s"), (None, [1.0, 2.0], "s")]
+    db = spark.createDataFrame(rows, "vec_id long, embedding array<float>, score string")
+    asks = (F.col("vec_id") % 10 == 0) | (F.col("vec_id") == 5001)
+    got = topk.threshold_topk(db, asks, 5).toPandas()
+    v = np.floor(1024 * x.astype(np.float32).astype(float)).astype(np.int64)
+    for q in range(0, 900, 10):
+        s = v @ v[q]
+        want = [(int(i), int(s[i])) for i in np.lexsort((np.arange(900), -s)) if i != q][:5]
+        mine = got[got.query_id == q].sort_values("rank")
+        assert list(zip(mine.vec_id, mine.score, strict=True)) == want
+    assert got[got.query_id == 5000].vec_id.tolist() == [5001] and got[got.query_id == 5001].score.tolist() == [5 * 1024**2]
+    seen = topk.rows_seen(topk.topk_found(db, asks, 5)).toPandas()
+    assert seen[seen.query_id < 5000].seen.mean() < 0.6 * 900
+    assert topk.threshold_topk(db.where("false"), asks, 5).count() == 0
+    assert topk.threshold_topk(db.where("vec_id < 4"), F.lit(True), 50).count() == 4 * 3
+
+
+def test_near_vectors_of_several_lengths_and_large_buckets(spark, monkeypatch):
+    monkeypatch.setattr(near_vectors, "BLOCK", 8)
+    rng = np.random.default_rng(5)
+    one, two = rng.normal(size=16), rng.normal(size=5)
+    x = [*(one + rng.normal(size=(40, 16)) * 0.02), *(two + rng.normal(size=(6, 5)) * 0.01), *rng.normal(size=(20, 16)), [], [2.0]]
+    rows = [(i, [float(c) for c in v], "k") for i, v in enumerate(x)] + [(0, [float(c) for c in one], "k"), (None, [float(c) for c in one], "k")]
+    got = near_vectors.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<float>, key string")).toPandas()
+    assert len(got) == len(rows)
+    first = got[got.vec_id.between(0, 39)]
+    assert (first.n_links == 40).all() and (first.component_id == 0).all()
+    second = got[got.vec_id.between(40, 45)]
+    assert (second.n_links == 5).all() and (second.component_id == 40).all()
+    assert (got[got.vec_id > 45].n_links == 0).all() and got[got.vec_id.isna()].n_links.tolist() == [0]
+
+
+def test_bounds_hold_the_products():
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(400, 64))
+    x[200:] = x[:200] + rng.normal(size=(200, 64)) * 0.3
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    coder = near_vectors.Coder(64, 8, 4)
+    _, codes, planes, consts = coder.of(x)
+    i, j = np.triu_indices(400, 1)
+    upper = coder.estimates(codes, planes, consts)(i, j)
+    real = np.einsum("ij,ij->i", x[i], x[j])
+    assert (upper >= real).mean() > 0.999 and (upper[real < 0.3] < 0.95).mean() > 0.99
+
+
+def test_operators_equal_their_sql(spark):
+    import duckdb
+
+    from vecengine.llm import registry
+
+    con, place = duckdb.connect(), "/root/testdata/sf0.001"
+    for t in ("documents", "embeddings"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{place}/{t}.parquet')")
+    for name, sql in registry.ORACLE_SQL.items():
+        df = registry.QUERIES[name](spark, place)
+        got = sorted(tuple(r) for r in df.collect())
+        assert got == sorted(con.execute(f"SELECT {', '.join(df.columns)} FROM ({sql})").fetchall()), name
 
 
 @pytest.mark.parametrize("n", [0, 5, 333])
@@ -76,3 +147,11 @@ def test_components(spark):
     e = spark.createDataFrame([(i, i + 1) for i in range(30)] + [(50, 51), (60, 60)], "a long, b long")
     got = {r["id"]: r["comp"] for r in common.components(e).collect()}
     assert all(got[i] == 0 for i in range(31)) and got[51] == 50 and 60 not in got
+
+
+def test_shards_of_odd_tables(spark):
+    rows = [(None, "same", 1)] * 40 + [(1, None, 1)] * 3 + [(2, "", 1), (3, "x" * 100_000, 1)]
+    got = sharding.balanced_shards(spark.createDataFrame(rows, "doc_id long, text string, shard int")).toPandas()
+    sizes = got.groupby("shard").size()
+    assert len(got) == len(rows) and sizes.max() - sizes.min() <= 1
+    assert all(sorted(g.slot) == list(range(len(g))) for _, g in got.groupby("shard")) and got["size"].max() == 100_001

@@ -241,6 +241,9 @@ def lengths(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str =
         for batch in batches:
             n = [len(bpe.encode(t.as_py() or "")) // 4 + 1 for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64())], ["id", "length"])
+        # A worker lives on, and its next task may need the room.
+        bpe.words.clear()
+        bpe.fits.clear()
 
     slim = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     return slim.mapInArrow(run, f"id {dict(slim.dtypes)['id']}, length long").withColumnRenamed("id", id_col)

@@ -41,7 +41,9 @@ EVIDENCE, PAIR_EVIDENCE = (4.0, 6.0, 10.0, 16.0), 25.0
 LEVEL = 5
 #: Ratios (16 bytes each) up to which every worker gets all of them; beyond, texts and ratios meet by a join.
 BROADCAST_RATIOS = 8_000_000
-_MEMO = 400_000
+_MEMO = 100_000
+#: Texts whose n-grams are looked up at a time.
+_SLICE = 200
 _PAIR, _WORD, _HISTORY = 0, 1, 2
 
 
@@ -238,9 +240,11 @@ def _featured(rows: DataFrame, model: Model, width: int, at: int, extra: str, fi
 
     def run(batches):
         memo, known = _Hashes(), sent.value
-        for batch in batches:
-            found = _all_features([_hashed(memo, t.as_py()) for t in batch.column(at)], *known, bounds)
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(width)), *finish(found)], names)
+        for whole in batches:
+            for start in range(0, whole.num_rows, _SLICE):
+                batch = whole.slice(start, _SLICE)
+                found = _all_features([_hashed(memo, t.as_py()) for t in batch.column(at)], *known, bounds)
+                yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(width)), *finish(found)], names)
 
     return rows.mapInArrow(run, f"{kinds}, {extra}")
 
