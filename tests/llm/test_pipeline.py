@@ -2,7 +2,7 @@ import numpy as np
 import pandas as pd
 
 import corpus_pipeline as P
-from vecengine.llm import ngram_join, quality, toxicity
+from vecengine.llm import ngram_join
 
 WORDS = [f"{a}{b}" for a in ("sun", "moon", "tree", "river", "stone", "bird") for b in ("", "light", "side", "s", "fall")]
 
@@ -29,16 +29,13 @@ def tables(spark, path):
 def test_each_stage_takes_effect(spark, tmp_path):
     tables(spark, tmp_path)
     path = f"file://{tmp_path}"
-    docs, labels = (spark.read.parquet(f"{path}/{t}.parquet") for t in ("documents", "labels"))
+    docs, labels = (spark.read.parquet(f"{path}/{t}.parquet").coalesce(2) for t in ("documents", "labels"))
     ids = lambda df: sorted((-1 if r[0] is None else r[0]) for r in df.select("doc_id").collect())
-    for (name, stage), module, column, keep in ((P.STAGES[0], toxicity, "toxic", lambda s: s < 0.5), (P.STAGES[1], quality, "quality", lambda s: s >= 0.3)):
+    for (name, stage), column, good in ((P.STAGES[0], "toxic", 0), (P.STAGES[1], "quality", 1)):
         kept = stage(spark, docs, path)
         assert kept.columns == docs.columns, name
-        scored = module.score(docs, module.fit(docs, labels)).toPandas()
-        assert ids(kept) == sorted((-1 if pd.isna(i) else int(i)) for i in scored.doc_id[keep(scored.score)])
-        marked = {r.doc_id: r[column] for r in labels.collect()}
-        wrong = [i for i in range(300) if (i in ids(kept)) != (marked[i] == (0 if column == "toxic" else 1))]
-        assert len(wrong) < 15
+        left = ids(kept)
+        assert len([i for i, y in labels.select("doc_id", column).collect() if (i in left) != (y == good)]) < 15 and 2002 in left
     kept = P.drop_near_copies(spark, docs, path)
     assert kept.columns == docs.columns
     comp = ngram_join.jaccard_components(docs, 5, 80, 100).collect()

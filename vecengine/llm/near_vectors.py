@@ -192,7 +192,7 @@ def near_vectors(db: DataFrame, threshold: float = 0.95, id_col: str = "vec_id",
     rows = db.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("vec"))
     good = sound("vec") & F.exists("vec", lambda x: x != 0)
     rows = staged(rows.select("vec_id", "vec", F.when(good, F.xxhash64("vec")).alias("h1"), F.when(good, F.xxhash64(F.lit(1), F.reverse("vec"))).alias("h2")), "near-rows")
-    classes = staged(rows.where("h1 is not null and vec_id is not null").groupBy("h1", "h2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("m"), F.first("vec").alias("vec")), "near-classes")
+    classes = staged(rows.where("h1 is not null and vec_id is not null").groupBy("h1", "h2").agg(F.min("vec_id").alias("id"), F.count("*").alias("m"), F.first("vec").alias("vec")).withColumn("rep", F.col("h1")), "near-classes")
     bits, bands = plan(classes.count(), threshold)
     codes = staged(classes.select("rep", "vec").mapInArrow(_coded(bits, bands), f"rep long, {_CODE}"), "near-codes")
     banded = codes.select("rep", F.posexplode("keys").alias("band", "key"))
@@ -228,9 +228,12 @@ def near_vectors(db: DataFrame, threshold: float = 0.95, id_col: str = "vec_id",
     found = staged(loaded.mapInArrow(compare, "a long, b long, links long"), "near-links")
     links = found.where("links > 0").groupBy(F.col("a").alias("rep")).agg(F.sum("links").alias("links"))
     comp = components(found.where("b is not null").select("a", "b")).withColumnRenamed("id", "rep")
+    # Classes go by a hash of the vector, for an id may repeat with another vector; a component's name is its smallest id.
+    named = classes.drop("vec").join(links, "rep", "left").join(comp, "rep", "left")
+    least = classes.join(comp, "rep").groupBy("comp").agg(F.min("id").alias("least"))
     known = staged(
-        classes.drop("vec").join(links, "rep", "left").join(comp, "rep", "left")
-        .select("h1", "h2", (F.col("m") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("comp", "rep").alias("comp")),
+        named.join(least, "comp", "left")
+        .select("h1", "h2", (F.col("m") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("least", "id").alias("comp")),
         "near-known",
     )
     return rows.select("vec_id", "h1", "h2").join(known, ["h1", "h2"], "left").select(

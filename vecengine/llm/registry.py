@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from vecengine.llm import bpe, language_id, near_vectors, ngram_join, oracles, packing, quality, sharding, token_counts, topk, toxicity
 from vecengine.llm.common import crc_mod, table
 
-TOKENIZER = "byte_bpe_50k.json"
+TOKENIZER, RANKS = "byte_bpe_50k.json", "byte_bpe_50k.tiktoken"
 
 
 def op3_bpe_encode_decode(spark, sf_dir):
@@ -47,7 +47,7 @@ def op5_sharding(spark, sf_dir):
 
 
 def op10_best_fit_packing(spark, sf_dir):
-    return packing.best_fit(bpe.lengths(table(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER)), length_col="length")
+    return packing.best_fit(bpe.lengths(table(spark, sf_dir, "documents"), public_tokenizers.path(RANKS)), length_col="length")
 
 
 def op6_embedding_near_dedup(spark, sf_dir):
