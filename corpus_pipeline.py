@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from vecengine.llm import bpe, ngram_join, packing, quality, toxicity
 from vecengine.llm.common import staged, table
-from vecengine.llm.registry import TOKENIZER
+from vecengine.llm.registry import RANKS
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -39,7 +39,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all documents in bins of the permitted lengths, counted in tokens."""
-    return packing.best_fit(bpe.lengths(docs, public_tokenizers.path(TOKENIZER)), length_col="length")
+    return packing.best_fit(bpe.lengths(docs, public_tokenizers.path(RANKS)), length_col="length")
 
 
 STAGES = [("toxicity", drop_toxic), ("quality", drop_poor), ("ngram_jaccard", drop_near_copies), ("packing", pack)]
