@@ -61,6 +61,84 @@ def test_graph_full_window_is_exact_degrees_hold_and_visited_does_not_matter(dat
     assert hits[0] <= hits[1] + 1e-9 <= hits[2] + 2e-9
 
 
+@pytest.mark.parametrize(("codec", "kind"), [("f32", "l2"), ("pv8", "l2"), ("pv8", "ip"), ("pv4x8", "l2"), ("gl8", "ip"), ("f16", "l2"), ("pq8", "l2"), ("pq8", "ip")])
+def test_scores_from_codes_equal_those_of_decoded_rows(data, codec, kind):
+    x, q = data
+    codes = shard.Codes.of(x, codec)
+    at, rows = np.repeat(np.arange(len(q)), 50), np.tile(np.arange(50), len(q))
+    want = shard.score(q, codes.rows(np.broadcast_to(np.arange(50), (len(q), 50))), kind)
+    assert np.allclose(codes.scorer(q, kind)(at, rows).reshape(len(q), -1), want, atol=2e-4)
+
+
+def test_heaps_and_carried_codes_give_the_same_answers(data):
+    x, q = data
+    g = shard.Graph(shard.Codes.of(x, "pv8"), 8).build(16)
+    ids, *_ = g.search(q, 5, 20)
+    assert all(g.search_heap(one, 5, 20)[0].tolist() == row for one, row in zip(q, ids.tolist(), strict=True))
+    carried = shard.Graph(g.codes, 8, "l2", g.entry, g.nbrs).carry()
+    assert (carried.search(q, 5, 20)[0] == ids).all()
+    assert (np.concatenate([g.search(q[i : i + 1], 5, 20)[0] for i in range(len(q))]) == ids).all()
+
+
+def test_index_in_shards_blocks_of_queries_and_look_ups(spark, data, monkeypatch):
+    x, q = data
+    db, asks = planner.deal(frame(spark, x), len(x), 16, 60), frame(spark, q, "qid")
+    assert db.select("shard").distinct().count() == 4
+    index = shard.build_index(db, "pv8", 8, 16, mean=x.mean(axis=0).tolist()).persist()
+    one = shard.search_index(index, asks, 5, 60).orderBy("qid", "rank").collect()
+    hits = np.mean([[r["id"] for r in one if r["qid"] == i][0] in row for i, row in enumerate(brute(x, q, 2).tolist())])
+    assert hits >= 0.9
+    monkeypatch.setattr(shard, "BROADCAST_BYTES", 400)
+    assert shard.search_index(index, asks, 5, 60).orderBy("qid", "rank").collect() == one
+    assert shard.search_index(index, asks.where("false"), 5, 60).count() == 0
+    coded = shard.search_index(shard.build_index(db, "f32", 8, 16, search_codec="pq16"), asks, 5, 60)
+    assert coded.count() == 50
+    monkeypatch.undo()
+    layers = shard.search_layers(db, asks, 5, (10, 60), 8, 32)
+    assert measures.recall(layers.where("window = 60"), exact.exact_knn(db, asks, 5), 5).first()[0] >= 0.9
+
+
+def test_reaches_beyond_many_hops_and_ends_every_query(spark):
+    chain = spark.createDataFrame([(i, i + 1) for i in range(80)], "src long, id long")
+    assert graph.reachable(chain, [0]).count() == 81
+    db = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(9)], "id long, vec array<double>")
+    q = spark.createDataFrame([(0, [8.0, 0.0]), (1, [3.2, 0.0])], "qid long, vec array<double>")
+    got = graph.graph_search_rounds(chain.where("id < 9"), db, q, 1, 2, [0]).orderBy("qid").collect()
+    assert [r["id"] for r in got] == [8, 3]
+
+
+def test_scan_by_codes_equals_the_decoded_scan(spark, data, monkeypatch):
+    from vecengine.functions import quantize
+
+    x, q = data
+    db, asks = frame(spark, x), frame(spark, q, "qid")
+    mean = [0.1] * 16
+    coded = db.select("id", quantize.pvq(quantize.F.transform("vec", lambda v: v - 0.1), 8).alias("q")).select("id", "q.*")
+    plain = coded.select("id", quantize.F.transform(quantize.decode(quantize.F.struct("codes", "lo", "step")), lambda v: v + 0.1).alias("vec"))
+    want = [(r["qid"], r["rank"], r["id"]) for r in exact.exact_knn(plain, asks, 7).orderBy("qid", "rank").collect()]
+    for size in (exact.BROADCAST_BYTES, 400):
+        monkeypatch.setattr(exact, "BROADCAST_BYTES", size)
+        assert [(r["qid"], r["rank"], r["id"]) for r in exact.coded_knn(coded, asks, 7, mean).orderBy("qid", "rank").collect()] == want
+
+
+def test_encoders_are_not_copied_into_filters(spark, data):
+    from vecengine.operators import model
+
+    plan = exact.exact_knn(model.encode(frame(spark, data[0]), "pv4x4"), frame(spark, data[1], "qid"), 5)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Filter" not in plan.split("MapInArrow")[-1]
+
+
+def test_late_rows_drop_out_of_a_stream(spark, tmp_path):
+    from vecengine.streaming import flows
+
+    for i, rows in enumerate(([("2024-01-01 10:00:00", 1.0), ("2024-01-03 00:00:00", 1.0)], [("2024-01-03 00:10:00", 1.0)], [("2024-01-01 10:30:00", 1.0)], [("2024-01-04 00:00:00", 1.0)])):
+        spark.createDataFrame([(t, "view", v) for t, v in rows], "ts string, event_type string, value double").coalesce(1).write.parquet(f"{tmp_path}/{i}")
+    s = spark.readStream.schema("ts string, event_type string, value double").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path))
+    done = flows.drain(spark, flows.windowed_counts(s, "1 hour", late="1 hour"), "late_rows", "append")
+    # The row of 10:30 comes when its window is closed already.
+    assert done.where("start = timestamp '2024-01-01 10:00:00'").groupBy().sum("n").first()[0] == 1
+
+
 def test_inner_product_pruning_ends(data):
     x, q = data
     g = shard.Graph(shard.Codes.of(x, "pv8"), 8, "ip").build(16, (1.0, 0.95))

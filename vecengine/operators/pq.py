@@ -120,7 +120,7 @@ def _assign(x: np.ndarray, book: np.ndarray, eta: float) -> np.ndarray:
 
 def train(x: np.ndarray, segments: int, k: int = 256, rotate: int = 0, eta: float = 1.0, seed: int = 7) -> Pq:
     """Codebooks by k-means a segment; ``rotate`` rounds of rotation by orthogonal Procrustes; ``eta`` above 1 weighs parallel errors."""
-    width, k = -(-x.shape[1] // segments), min(k, 256)
+    width, k = -(-x.shape[1] // segments), min(k, 256, len(x))
     pq = Pq(np.zeros((segments, k, width)), None, eta)
     if rotate:
         pq.turn = np.eye(x.shape[1])

@@ -310,7 +310,7 @@ class Layers:
         mixed = (ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(32)
         base = max(2, degree // 2)
         graphs, rows, keep, scale = [], [], np.arange(len(ids)), 1
-        while len(keep):
+        while len(keep) > 1 or (len(keep) and not graphs):
             graphs.append(Graph(codes_of(keep), degree if scale == 1 else base, kind).build(window, (1.0,)))
             rows.append(keep)
             scale *= base

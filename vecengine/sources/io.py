@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+_written: list[tuple[SparkSession, str]] = []
 READERS = ("parquet", "orc", "json", "csv")
 
 
@@ -16,10 +18,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of this machine only where it is unset."""
+    """spark.checkpoint.dir of the session; a folder of this machine only in local mode, where it may be unset."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     own = getattr(shared_dir, "own", None)
     if own is None:
         own = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="vecengine-")
@@ -27,12 +31,27 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def staged(df: DataFrame, name: str) -> DataFrame:
-    """Written to the shared folder and read again: lineage ends here."""
+    """Written to the shared folder and read again: lineage ends here. ``release`` deletes it, at the latest when Python ends."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _written.append((df.sparkSession, path))
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release() -> None:
+    """Delete all staged tables, when no result that reads them is needed any more."""
+    while _written:
+        spark, path = _written.pop()
+        try:
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # the session may be gone: its folder goes with it
+            return
+
+
+atexit.register(release)
+
+
 def write_any(df: DataFrame, path: str, fmt: str = "parquet", mode: str = "overwrite") -> None:
     if fmt not in READERS:
         raise ValueError(f"format must be one of {READERS}")
