@@ -17,12 +17,14 @@ _written: list[tuple[SparkSession, str, DataFrame]] = []
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, from spark.checkpoint.dir.
 
-    Only where the session names none (tests in local mode) a folder of this
-    machine is used.
+    Only where the session names none, in local mode (tests), a folder of this
+    machine is used; a cluster without a shared folder is refused.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     own = getattr(shared_dir, "own", None)
     if own is None:
         own = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="vecengine-")
