@@ -321,8 +321,8 @@ def w17_passages(spark, sf_dir):
     db, q, truth, n = setting(spark, sf_dir, "ip", 10, io.staged(docs, "docs"), io.staged(asks, "asks"))
     parts = []
     for codec in ("pv8", "pv4x8", "f32"):
-        index = io.staged(shard.build_index(dealt(db), codec, 32, 64, (1.0, 0.95), "ip"), "index")
-        parts.append(outcome(codec, "R=32,W=60", shard.search_index(index, q, 10, 60, rerank="x" in codec), truth, 10, bytes_of(codec, 768), 32, n))
+        index = io.staged(shard.build_index(dealt(db), codec, 16, 32, (1.0, 0.95), "ip"), "index")
+        parts.append(outcome(codec, "R=16,W=60", shard.search_index(index, q, 10, 60, rerank="x" in codec), truth, 10, bytes_of(codec, 768), 16, n))
     return union(parts)
 
 
