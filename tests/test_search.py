@@ -1,3 +1,5 @@
+import tracemalloc
+
 import numpy as np
 import pytest
 
@@ -41,6 +43,34 @@ def test_exact_search_takes_the_smallest_of_many_equal_rows(kind):
     assert got.tolist() == sorted(ids[:3000])[:5] and len(set(score)) == 1
 
 
+@pytest.mark.parametrize("kind", ["l2", "ip", "cos"])
+def test_exact_search_holds_few_scores_at_once(kind):
+    rng = np.random.default_rng(8)
+    x, q, k = np.round(rng.normal(size=(6000, 4)), 1), np.round(rng.normal(size=(3000, 4)), 1), 45
+    x[17], q[5] = np.nan, np.inf
+    tracemalloc.start()
+    qids, ids, score = exact._block_best(np.arange(len(x)), x, np.arange(len(q)), q, k, kind)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 120e6  # all scores of the block are 144 MB
+    for i in (0, 1, 2999):
+        own = -np.sqrt(((x - q[i]) ** 2).sum(1)) if kind == "l2" else (x * q[i]).sum(1) if kind == "ip" else (x / np.linalg.norm(x, axis=1, keepdims=True) * (q[i] / np.linalg.norm(q[i]))).sum(1)
+        best = np.lexsort((np.arange(len(x)), np.where(np.isfinite(own), -own, np.inf)))[:k]
+        assert ids[qids == i].tolist() == best.tolist() and np.array_equal(score[qids == i], own[best])
+    assert not (qids == 5).any() and not (ids == 17).any()
+
+
+def test_many_answers_are_found_in_a_grid(spark, data, monkeypatch):
+    x, _ = data
+    db = frame(spark, x)
+    want = graph.knn_candidates(db, 7).orderBy("src", "rank").collect()
+    monkeypatch.setattr(exact, "ANSWERS", 100)
+    monkeypatch.setattr(exact, "QUERY_BLOCK", 64)
+    monkeypatch.setattr(exact, "ROW_BYTES", 90 * 16 * 8)
+    monkeypatch.setattr(exact, "CELLS", 500)
+    assert graph.knn_candidates(db, 7).orderBy("src", "rank").collect() == want
+
+
 def test_pruning_example_and_cap(spark):
     db = spark.createDataFrame([(0, [0.0, 0.0]), (1, [1.0, 0.0]), (2, [2.0, 0.0]), (3, [0.0, 3.0])], "id long, vec array<double>")
     cands = graph.knn_candidates(db, 3).where("src = 0")
