@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from vecengine.functions import quantize
 from vecengine.functions.vectors import center
 from vecengine.operators.exact import exact_knn
+from vecengine.sources import io
 
 
 def windowed_counts(events: DataFrame, size: str, slide: str | None = None, late: str | None = None) -> DataFrame:
@@ -90,10 +91,25 @@ def standing_knn(stream: DataFrame, db: DataFrame, sink, k: int = 5):
 
 
 def drain(spark: SparkSession, frame: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a stream over all that is there, and return its table."""
-    run = frame.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    run.awaitTermination()
-    return spark.table(name)
+    """Run a stream over all that is there, and return its table.
+
+    A complete result is kept by the driver; added or changed rows are as many
+    as the stream's, so each batch is written to the shared folder.
+    """
+    path = io.scratch(spark, name)
+    writer = frame.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/progress")
+    if mode == "complete":
+        writer.format("memory").queryName(name).start().awaitTermination()
+        return spark.table(name)
+    epochs = set()
+
+    def keep(rows: DataFrame, epoch: int) -> None:
+        # A batch that runs again replaces what it wrote.
+        rows.write.mode("overwrite").parquet(f"{path}/rows/{epoch}")
+        epochs.add(epoch)
+
+    writer.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(frame.schema).parquet(*(f"{path}/rows/{e}" for e in sorted(epochs))) if epochs else spark.createDataFrame([], frame.schema)
 
 
 def drift(fitted: list[float], new: list[float], threshold: float) -> tuple[float, bool]:
