@@ -63,7 +63,8 @@ def doc_quality_join(spark, sf_dir):
 
 @query(f"WITH {KNN} SELECT qid, CAST(rank AS INTEGER) AS rank, id, round(score, 6) AS score FROM k")
 def broadcast_query_knn(spark, sf_dir):
-    return exact.broadcast_knn(io.base(spark, sf_dir), io.held_out(spark, sf_dir), 10).withColumn("score", F.round("score", 6))
+    """The queries go to all tasks, whose rows are scored in blocks."""
+    return found(spark, sf_dir).withColumn("score", F.round("score", 6))
 
 
 @query(f"WITH {B.DB} SELECT a.id AS a, b.id AS b FROM db a JOIN db b ON a.id < b.id AND {B.sq_l2('a.vec', 'b.vec')} <= 0.9")
@@ -263,14 +264,14 @@ def range_frame_events(spark, sf_dir):
 
 @query(f"WITH {B.DB} SELECT qid, id, round({B.score('q.vec', 'db.vec')}, 6) AS score FROM q, db ORDER BY {B.score('q.vec', 'db.vec')} DESC, qid, id LIMIT 25")
 def topk_global(spark, sf_dir):
-    pairs = io.base(spark, sf_dir).crossJoin(F.broadcast(io.held_out(spark, sf_dir).withColumnRenamed("vec", "qvec")))
-    s = pairs.select("qid", "id", sim("qvec", "vec").alias("score")).orderBy(F.desc("score"), "qid", "id").limit(25)
+    """The best 25 of all pairs are among the best 25 of each query."""
+    s = found(spark, sf_dir, 25).select("qid", "id", "score").orderBy(F.desc("score"), "qid", "id").limit(25)
     return s.withColumn("score", F.round("score", 6))
 
 
 @query(f"WITH {B.DB} SELECT qid, CAST(rank AS INTEGER) AS rank, id FROM ({B.knn(k=5, kind='ip')})")
 def topk_per_query(spark, sf_dir):
-    return exact.broadcast_knn(io.base(spark, sf_dir), io.held_out(spark, sf_dir), 5, "ip").select("qid", "rank", "id")
+    return exact.exact_knn(io.base(spark, sf_dir), io.held_out(spark, sf_dir), 5, "ip").select("qid", "rank", "id")
 
 
 @query("SELECT vec_id AS id FROM embeddings WHERE (vec_id * 7919 + 13) % 100 < 30")
