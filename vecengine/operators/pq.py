@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecengine.operators.exact import BROADCAST_BYTES, topk
+from vecengine.operators.exact import BROADCAST_BYTES, CELLS, _joined, _near, _ranked, topk
 from vecengine.sources.io import staged
 
 #: Rows at most that fit a codebook.
@@ -32,16 +32,25 @@ def lloyd(x: np.ndarray, k: int, iters: int = 12, seed: int = 7) -> np.ndarray:
     rng = np.random.default_rng(seed)
     c = x[rng.choice(len(x), k, replace=len(x) < k)].copy()
     for _ in range(iters):
-        far = (x * x).sum(1)[:, None] - 2 * x @ c.T + (c * c).sum(1)
-        near = far.argmin(1)
+        near, least = _served(x, c)
         n = np.bincount(near, minlength=k)
         sums = np.stack([np.bincount(near, x[:, j], k) for j in range(x.shape[1])], axis=1)
         c = np.where(n[:, None] > 0, sums / np.maximum(n, 1)[:, None], c)
         if (n == 0).any():
-            c[n == 0] = x[np.argsort(-far.min(1))[: int((n == 0).sum())]]
+            c[n == 0] = x[np.argsort(-least)[: int((n == 0).sum())]]
     return c
 
 
+def _served(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Nearest centroid of each row, and the square of its distance; some rows at a time."""
+    near, least, some = np.empty(len(x), np.int64), np.empty(len(x)), max(1, CELLS // len(c))
+    for at in range(0, len(x), some):
+        part = x[at : at + some]
+        far = (part * part).sum(1)[:, None] - 2 * part @ c.T + (c * c).sum(1)
+        near[at : at + some], least[at : at + some] = far.argmin(1), far.min(1)
+    return near, least
+
+
 def distributed_lloyd(db: DataFrame, k: int, iters: int = 8, seed: int = 7) -> np.ndarray:
     """k-means over all rows: centroids go out, sums of each task come back."""
     c = lloyd(sample(db, max(k * 50, 1000)), k, 4, seed)
@@ -68,10 +77,11 @@ def distributed_lloyd(db: DataFrame, k: int, iters: int = 8, seed: int = 7) -> n
 
 
 def nearest(x: np.ndarray, c: np.ndarray, many: int = 1) -> np.ndarray:
-    far = (c * c).sum(1) - 2 * x @ c.T
-    if many == 1:
-        return far.argmin(1)
-    return np.argsort(far, axis=1, kind="stable")[:, :many]
+    some, out = max(1, CELLS // len(c)), []
+    for at in range(0, max(1, len(x)), some):
+        far = (c * c).sum(1) - 2 * x[at : at + some] @ c.T
+        out.append(far.argmin(1) if many == 1 else np.argsort(far, axis=1, kind="stable")[:, :many])
+    return np.concatenate(out)
 
 
 @dataclass
@@ -174,6 +184,7 @@ def scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str = "l2") -> Da
     """(qid, rank, id, score) by table look-up over all codes; look-up tables go out in blocks of a bounded size."""
     m = q.count()
     blocks = max(1, -(-m * pq.books.shape[0] * pq.books.shape[1] * 8 // BROADCAST_BYTES))
+    # Each block is run at once, so that its tables need not stay.
     parts = [_scan(codes, pq, q if blocks == 1 else q.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == b), k, kind) for b in range(blocks)]
     return topk(reduce(DataFrame.union, parts), k).select("qid", "rank", "id", "score")
 
@@ -182,7 +193,9 @@ def _scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str) -> DataFram
     got = q.toPandas()
     if not len(got):
         return codes.sparkSession.createDataFrame([], "qid long, id long, score double")
-    sent = codes.sparkSession.sparkContext.broadcast((got["qid"].to_numpy(), pq.table(np.stack(got["vec"].to_numpy()), kind)))
+    table = pq.table(np.stack(got["vec"].to_numpy()), kind)
+    # Queries last: what a centroid adds to the scores of some queries stands together.
+    sent = codes.sparkSession.sparkContext.broadcast((got["qid"].to_numpy(), np.ascontiguousarray(table.transpose(1, 2, 0))))
 
     def run(batches):
         qids, table = sent.value
@@ -191,11 +204,19 @@ def _scan(codes: DataFrame, pq: Pq, q: DataFrame, k: int, kind: str) -> DataFram
                 continue
             ids = batch.column(0).to_numpy()
             c = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint8).reshape(len(ids), -1)
-            s = sum(table[:, j, c[:, j]] for j in range(c.shape[1]))
-            best = np.lexsort((np.broadcast_to(ids, s.shape), -s), axis=1)[:, :k]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qids, best.shape[1])), pa.array(ids[best].ravel()), pa.array(np.take_along_axis(s, best, 1).ravel())], ["qid", "id", "score"])
-
-    return codes.select("id", "code").mapInArrow(run, "qid long, id long, score double")
+            few, out = max(1, CELLS // len(ids)), []
+            for at in range(0, len(qids), few):
+                s = np.zeros((len(ids), len(qids[at : at + few])))
+                for j in range(c.shape[1]):
+                    s += np.ascontiguousarray(table[j, :, at : at + few])[c[:, j]]
+                s = np.ascontiguousarray(s.T)
+                out.append(_ranked(ids, qids[at : at + few], *_near(s, k, np.zeros(len(s))), k))
+            a, b, score = _joined(out, qids, ids)
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(score)], ["qid", "id", "score"])
+
+    found = staged(codes.select("id", "code").mapInArrow(run, "qid long, id long, score double"), "scanned")
+    sent.destroy()
+    return found
 
 
 @dataclass
