@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecengine.operators.exact import BROADCAST_BYTES, topk
+from vecengine.sources.io import staged
 
 QUERY_BATCH = 256
 
@@ -426,7 +427,8 @@ def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bo
     found = None
     for block in range(blocks):
         mine = asks if blocks == 1 else asks.where(F.pmod(F.xxhash64("qid"), F.lit(blocks)) == block)
-        one = found_by(mine.toPandas().dropna())
+        # Kept, for answers and costs both come from it: else every shard would be searched again for each use.
+        one = staged(found_by(mine.toPandas().dropna()), "found")
         found = one if found is None else found.union(one)
     cost = found.groupBy("qid").agg(F.sum("hops").alias("hops"), F.sum("evals").alias("evals"))
     return topk(found.select("qid", "id", "score"), k).join(cost, "qid").select("qid", "rank", "id", "score", "hops", "evals")

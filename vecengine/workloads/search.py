@@ -94,9 +94,9 @@ def graph_search_rounds(spark, sf_dir):
 def graph_rerank(spark, sf_dir):
     """Two-level codes: search on the first level, final beam by both."""
     db, q, truth, n = setting(spark, sf_dir)
-    parts = []
-    for codec in ("pv4x4", "pv4x8", "pv8x8"):
-        index = io.staged(shard.build_index(dealt(db), codec, 16, 32), "index")
+    parts, codecs = [], ("pv4x4", "pv4x8", "pv8x8")
+    built = io.staged_together([shard.build_index(dealt(db), codec, 16, 32) for codec in codecs], "index")
+    for codec, index in zip(codecs, built, strict=True):
         parts += [outcome(codec, f"rerank={r}", shard.search_index(index, q, 10, 40, rerank=r), truth, 10, bytes_of(codec, 64), 16, n) for r in (False, True)]
     return union(parts)
 
@@ -171,8 +171,9 @@ def w2_large(spark, sf_dir):
     db, q, truth, n = setting(spark, sf_dir, "ip", 100, io.staged(db, "norms"), q)
     shards = max(250, n // 4)
     parts = []
-    for codec in ("pv8", "pv4x4", "f32"):
-        index = io.staged(shard.build_index(dealt(db, shards), codec, 32, 64, (1.0, 0.95), "ip", mean=model.dataset_mean(db)), "index")
+    codecs, mean = ("pv8", "pv4x4", "f32"), model.dataset_mean(db)
+    built = io.staged_together([shard.build_index(dealt(db, shards), codec, 32, 64, (1.0, 0.95), "ip", mean=mean) for codec in codecs], "index")
+    for codec, index in zip(codecs, built, strict=True):
         for k, w in ((10, 20), (10, 40), (10, 80), (50, 80), (100, 160)):
             parts.append(outcome(codec, f"R=32,W={w},k={k}", shard.search_index(index, q, k, w, rerank="x" in codec), truth, k, bytes_of(codec, 64), 32, n))
     x = pq.sample(db)
@@ -189,10 +190,10 @@ def w3_memory(spark, sf_dir):
     db, q, truth, n = setting(spark, sf_dir)
     parts = []
     mean, shards = model.dataset_mean(db), max(250, n // 4)
-    for degree in (8, 16, 32):
-        for codec in ("pv8", "pv4x8", "f32"):
-            index = io.staged(shard.build_index(dealt(db, shards), codec, degree, 2 * degree, mean=mean), "index")
-            parts.append(outcome(codec, f"R={degree},W=40", shard.search_index(index, q, 10, 40, rerank="x" in codec), truth, 10, bytes_of(codec, 64), degree, n))
+    cases = [(degree, codec) for degree in (8, 16, 32) for codec in ("pv8", "pv4x8", "f32")]
+    built = io.staged_together([shard.build_index(dealt(db, shards), codec, degree, 2 * degree, mean=mean) for degree, codec in cases], "index")
+    for (degree, codec), index in zip(cases, built, strict=True):
+        parts.append(outcome(codec, f"R={degree},W=40", shard.search_index(index, q, 10, 40, rerank="x" in codec), truth, 10, bytes_of(codec, 64), degree, n))
     coarse = pq.ivf_build(db, max(4, n // 64), pq.train(pq.sample(db), 32, 16))
     parts += [outcome("inverted file", f"nprobe={p},rerank=100", pq.rerank(pq.ivf_search(coarse, q, 100, p), db, q, 10), truth, 10, 32, 0, n) for p in (1, 2, 4, 8)]
     return union(parts)
@@ -276,10 +277,10 @@ def pq_assign(spark, sf_dir):
 def layered_search(spark, sf_dir):
     """The hierarchy of graphs against the flat one, and the graph whose neighbour lists carry 4-bit codes."""
     db, q, truth, n = setting(spark, sf_dir)
-    layers = io.staged(shard.search_layers(dealt(db), q, 10, (20, 40), 16, 200), "layers")
+    kinds = (("f32", "flat"), ("pv4", "coded neighbourhoods"))
+    layers, *built = io.staged_together([shard.search_layers(dealt(db), q, 10, (20, 40), 16, 200), *(shard.build_index(dealt(db), "f32", 16, 32, search_codec=codec) for codec, _ in kinds)], "index")
     parts = [outcome("layered", f"M=8,W={w}", layers.where(F.col("window") == w).drop("window"), truth, 10, 256, 17, n) for w in (20, 40)]
-    for codec, name in (("f32", "flat"), ("pv4", "coded neighbourhoods")):
-        index = io.staged(shard.build_index(dealt(db), "f32", 16, 32, search_codec=codec), "index")
+    for (codec, name), index in zip(kinds, built, strict=True):
         found = shard.search_index(index, q, 40 if codec == "pv4" else 10, 40, carry=codec == "pv4", batch=1 if codec == "pv4" else shard.QUERY_BATCH)
         cost = found.select("qid", "evals").distinct()
         again = pq.rerank(found, db, q, 10).join(cost, "qid") if codec == "pv4" else found
