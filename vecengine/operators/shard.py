@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import heapq
 from dataclasses import dataclass, field
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -21,6 +22,8 @@ from vecengine.operators.exact import BROADCAST_BYTES, topk
 from vecengine.sources.io import staged
 
 QUERY_BATCH = 256
+#: Pairs of candidates that pruning compares at once.
+PAIRS = 1 << 18
 
 
 def encode(x: np.ndarray, bits: int, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -150,6 +153,8 @@ class Graph:
     nbrs: np.ndarray = field(default=None)
     #: Codes of each vertex' neighbours, side by side; set by ``carry``.
     carried: np.ndarray = field(default=None)
+    #: All rows decoded in single precision, while the graph is built.
+    plain: np.ndarray = field(default=None)
 
     def __post_init__(self):
         if self.nbrs is None:
@@ -174,39 +179,64 @@ class Graph:
         at = np.full((m, 1), self.entry) if entry is None else np.asarray(entry).reshape(m, 1)
         ids, val = np.full((m, w), -1, np.int64), np.full((m, w), -np.inf, np.float32)
         first = score(q, self.codes.rows(at), self.kind)
-        ids[:, :1], val[:, :1] = at, first
-        done = ids < 0
+        ids[:, :1], val[:, :1] = np.where(np.isnan(first), -1, at), np.where(np.isnan(first), -np.inf, first)
+        # Scores of what is not expanded yet, and a bound from below of the worst score in each beam.
+        open_, low = val.copy(), np.full(m, -np.inf, np.float32)
         hops, evals = np.zeros(m, int), np.ones(m, int)
-        seen = np.zeros((m, len(self.codes)), bool) if visited else None
-        if visited:
-            seen[np.arange(m), at[:, 0]] = True
-        live = np.arange(m)
-        bi, bv, bd = ids, val, done
-        while len(live):
-            pick = np.argmax(np.where(bd, -np.inf, bv), axis=1)
-            each = np.arange(len(live))
-            node = bi[each, pick]
-            bd[each, pick] = True
+        # One bit a vertex: in the beam now, or with ``visited`` scored before.
+        stride = len(self.codes) // 8 + 1
+        bits = np.zeros(m * stride, np.uint8)
+        spot = lambda who, i: (who * stride + (i >> 3), np.left_shift(1, i & 7).astype(np.uint8))
+        where, bit = spot(np.arange(m), at[:, 0])
+        bits[where] |= bit
+        live, few = np.arange(m), min(self.degree, w)
+        while True:
+            some = open_ if len(live) == m else open_[live]
+            pick = some.argmax(axis=1)
+            go = some[np.arange(len(live)), pick] > -np.inf
+            if not go.all():
+                live, pick = live[go], pick[go]
+            if not len(live):
+                break
+            node = ids[live, pick]
+            open_[live, pick] = -np.inf
             hops[live] += 1
             new = self.nbrs[node].astype(np.int64)
-            bad = (new < 0) | (new[:, :, None] == bi[:, None, :]).any(axis=2)
-            if visited:
-                bad |= seen[live[:, None], np.maximum(new, 0)]
-            r, c = np.nonzero(~bad)
+            where, bit = spot(live[:, None], np.maximum(new, 0))
+            good = (new >= 0) & ((bits[where] & bit) == 0)
+            r, c = np.nonzero(good)
             rows = new[r, c]
-            if visited:
-                seen[live[r], rows] = True
             evals[live] += np.bincount(r, minlength=len(live))
             s = np.full(new.shape, -np.inf, np.float32)
             s[r, c] = scorer(live[r], rows) if self.carried is None else scorer(live[r], node[r], c, rows)
-            new[bad] = -1
-            both_i, both_s, both_d = np.concatenate((bi, new), axis=1), np.concatenate((bv, s), axis=1), np.concatenate((bd, bad), axis=1)
-            best = np.argpartition(-both_s, w - 1, axis=1)[:, :w]
-            bi, bv, bd = (np.take_along_axis(x, best, axis=1) for x in (both_i, both_s, both_d))
-            over = bd.all(axis=1)
-            if over.any():
-                ids[live[over]] = bi[over]
-                live, bi, bv, bd = live[~over], bi[~over], bv[~over], bd[~over]
+            if visited:
+                np.bitwise_or.at(bits, where[r, c], bit[r, c])
+            # Only beams that a new vertex enters change; it takes the place of one of the worst.
+            r = np.flatnonzero((s > low[live][:, None]).any(axis=1))
+            if not len(r):
+                continue
+            who, new, s = live[r], new[r], s[r]
+            beam, each = val[who], np.arange(len(who))[:, None]
+            place = np.argpartition(beam, few - 1, axis=1)[:, :few] if few < w else np.broadcast_to(np.arange(w), (len(r), w))
+            old = beam[each, place]
+            both = np.concatenate((old, s), axis=1)
+            best = np.argsort(-both, axis=1, kind="stable")[:, :few]
+            stays = np.zeros(both.shape, bool)
+            stays[each, best] = True
+            # As many leave each beam as enter it; the sort is stable, so what was there wins a tie.
+            er, ec = np.nonzero(stays[:, few:])
+            lr, lc = np.nonzero(~stays[:, :few])
+            spots = place[lr, lc]
+            if not visited:
+                gone = ids[who[lr], spots]
+                there = gone >= 0
+                where, bit = spot(who[lr][there], gone[there])
+                np.bitwise_and.at(bits, where, ~bit)
+                where, bit = spot(who[er], new[er, ec])
+                np.bitwise_or.at(bits, where, bit)
+            ids[who[lr], spots] = new[er, ec]
+            val[who[lr], spots] = open_[who[lr], spots] = s[er, ec]
+            low[who] = np.minimum(both[each[:, 0], best[:, -1]], old.max(axis=1))
         decoded = self.codes.fine if rerank else self.codes.rows
         val = np.where(ids >= 0, score(q, decoded(np.maximum(ids, 0)), self.kind), -np.inf)
         order = np.lexsort((ids, -val), axis=1)[:, :k]
@@ -234,15 +264,32 @@ class Graph:
 
     def prune(self, src: np.ndarray, cands: np.ndarray, alpha: float) -> np.ndarray:
         """Kept candidates (-1 filled) of each source; repeated ones and the source itself never count."""
+        none = len(self.codes)
         cands = np.sort(cands, axis=1)
-        cands[:, 1:][cands[:, 1:] == cands[:, :-1]] = -1
-        cands[cands == src[:, None]] = -1
-        x = self.codes.rows(np.maximum(cands, 0)).astype(np.float32)
-        own = score(self.codes.rows(src).astype(np.float32), x, self.kind)
+        cands[:, 1:][cands[:, 1:] == cands[:, :-1]] = none
+        cands[(cands == src[:, None]) | (cands < 0)] = none
+        cands.sort(axis=1)
+        each = (cands < none).sum(axis=1)
+        kept = np.full((len(src), self.degree), -1, np.int64)
+        # Sources with like numbers of candidates go together, the most first.
+        order = np.argsort(-each, kind="stable")
+        at = 0
+        while at < len(order) and each[order[at]]:
+            wide = int(each[order[at]])
+            part = order[at : at + max(1, min(256, PAIRS // wide**2))]
+            kept[part] = self._prune(src[part], np.where(cands[part, :wide] < none, cands[part, :wide], -1), alpha)
+            at += len(part)
+        return kept
+
+    def _prune(self, src: np.ndarray, cands: np.ndarray, alpha: float) -> np.ndarray:
+        plain = (lambda i: self.codes.rows(i).astype(np.float32)) if self.plain is None else self.plain.__getitem__
+        x = plain(np.maximum(cands, 0))
+        own = score(plain(src), x, self.kind)
         own[cands < 0] = -np.inf
-        order = np.lexsort((cands, -own), axis=1)
-        cands, own = np.take_along_axis(cands, order, axis=1), np.take_along_axis(own, order, axis=1)
-        x = np.take_along_axis(x, order[:, :, None], axis=1)
+        order, each = np.lexsort((cands, -own), axis=1), np.arange(len(src))[:, None]
+        cands, own, x = cands[each, order], own[each, order], x[each, order]
+        norms = np.sqrt(np.einsum("md,md->m", plain(src), plain(src)) * np.einsum("mcd,mcd->mc", x, x).max(axis=1))
+        covers = self._covers(x, own, cands >= 0, alpha, norms)
         alive, rows, kept = cands >= 0, np.arange(len(src)), np.full((len(src), self.degree), -1, np.int64)
         for r in range(self.degree):
             some = alive.any(axis=1)
@@ -252,12 +299,38 @@ class Graph:
             kept[some, r] = cands[rows, best][some]
             # The winner goes by itself: an inner product need not cover its own.
             alive[rows, best] = False
-            alive &= ~((alpha * score(x[rows, best], x, self.kind) >= own) & some[:, None])
+            alive &= ~covers[rows, best]
         return kept
 
+    def _covers(self, x: np.ndarray, own: np.ndarray, valid: np.ndarray, alpha: float, rounds: np.ndarray) -> np.ndarray:
+        """(sources, i, j): alpha times the score of candidates i < j reaches the source's own score of j.
+
+        Products of all pairs decide; those that single precision might decide
+        otherwise are scored one by one, so the answer is that of ``score``.
+        """
+        dots, mine = x @ x.transpose(0, 2, 1), np.where(valid, own, 0)[:, None, :]
+        squares = np.einsum("mcc->mc", dots)
+        total = np.maximum(squares[:, :, None], squares[:, None, :])
+        if self.kind == "ip":
+            # Candidates do not tell the source's own norm; their scores round with it.
+            gap, most = alpha * dots - mine, alpha * total + np.abs(mine) + rounds[:, None, None]
+        else:
+            mine = mine * mine
+            far = (alpha * alpha) * (squares[:, :, None] + squares[:, None, :] - 2 * dots)
+            gap, most = mine - far, mine + (2 * alpha * alpha) * total
+        covers = gap >= 0
+        near = ~(np.abs(gap) > (4 + x.shape[2]) * 2.4e-7 * most) & valid[:, None, :]
+        r, i, j = np.nonzero(near & np.triu(np.ones(near.shape[1:], bool), 1))
+        step = max(1, (1 << 22) // x.shape[2])
+        for at in range(0, len(r), step):
+            a, b, c = (one[at : at + step] for one in (r, i, j))
+            covers[a, b, c] = alpha * score(x[a, b], x[a, c][:, None, :], self.kind)[:, 0] >= own[a, c]
+        return covers
+
     def build(self, window: int, alphas: tuple[float, ...] = (1.0, 1.2), batch: int = 128) -> Graph:
         """Insert all rows by search and pruning, in batches that double, once for each alpha."""
         n = len(self.codes)
+        self.plain = self.codes.x if self.codes.codec == "f32" else self.codes.rows(np.arange(n)).astype(np.float32)
         middle = self.codes.rows(np.arange(n)).mean(axis=0)
         self.entry = int(np.argmin(((self.codes.rows(np.arange(n)) - middle) ** 2).sum(axis=1))) if n else 0
         for turn, alpha in enumerate(alphas):
@@ -270,6 +343,7 @@ class Graph:
                 near = np.argsort(-score(q, np.broadcast_to(q, (len(q), *q.shape)), self.kind), axis=1)[:, : window + 1]
                 self._link(ids, np.concatenate((found, np.take_along_axis(mates, near, axis=1), self.nbrs[ids]), axis=1), alpha)
                 at, size = at + size, min(batch, size * 2)
+        self.plain = None
         return self
 
     def _link(self, ids: np.ndarray, cands: np.ndarray, alpha: float) -> None:
@@ -277,25 +351,20 @@ class Graph:
         src = np.repeat(ids, self.degree)
         dst = self.nbrs[ids].ravel().astype(np.int64)
         src, dst = src[dst >= 0], dst[dst >= 0]
+        known = (self.nbrs[dst] == src[:, None]).any(axis=1)
+        src, dst = src[~known], dst[~known]
+        if not len(dst):
+            return
         order = np.argsort(dst, kind="stable")
         src, dst = src[order], dst[order]
-        full_i, full_c, start = [], [], 0
-        for end in [*(np.flatnonzero(dst[1:] != dst[:-1]) + 1).tolist(), len(dst)] if len(dst) else []:
-            j, extra = int(dst[start]), src[start:end]
-            have = self.nbrs[j][self.nbrs[j] >= 0]
-            extra = extra[~np.isin(extra, have)]
-            if len(have) + len(extra) <= self.degree:
-                self.nbrs[j, len(have) : len(have) + len(extra)] = extra
-            else:
-                full_i.append(j)
-                full_c.append(np.concatenate((have, extra)))
-            start = end
-        if full_i:
-            wide = max(map(len, full_c))
-            c = np.full((len(full_i), wide), -1, np.int64)
-            for row, one in zip(c, full_c, strict=True):
-                row[: len(one)] = one
-            self.nbrs[full_i] = self.prune(np.array(full_i), c, alpha)
+        ends, start, extra = np.unique(dst, return_index=True, return_counts=True)
+        have = (self.nbrs[ends] >= 0).sum(axis=1)
+        c = np.full((len(ends), max(self.degree, (have + extra).max())), -1, np.int64)
+        c[:, : self.degree] = self.nbrs[ends]
+        c[np.repeat(np.arange(len(ends)), extra), np.arange(len(dst)) + np.repeat(have - start, extra)] = src
+        full = have + extra > self.degree
+        self.nbrs[ends[~full]] = c[~full, : self.degree]
+        self.nbrs[ends[full]] = self.prune(ends[full], c[full], alpha)
 
 
 @dataclass
@@ -388,14 +457,16 @@ def edges_of(index: DataFrame) -> DataFrame:
     return index.select("shard", "n", "ids", "nbrs").mapInArrow(run, "shard int, src long, id long")
 
 
-def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bool = False, visited: bool = False, carry: bool = False, batch: int = QUERY_BATCH) -> DataFrame:
+def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bool = False, visited: bool = False, carry: bool = False, batch: int = QUERY_BATCH, parts: int = 1) -> DataFrame:
     """(qid, rank, id, score, hops, evals): every shard searched, best k of all.
 
     hops and evals sum over shards. With ``rerank`` the final beam is scored
     anew by both levels; the second level is not read before. ``carry`` searches
     with the neighbours' codes in the lists. ``batch`` queries move together; 1
     takes them one at a time. Queries are sent to all tasks in blocks of a
-    bounded size, one scan of the index for each.
+    bounded size, one scan of the index for each. So many ``parts`` of tasks
+    share the batches of a shard; each reads the index, which must then be a
+    stored table.
     """
     spark = q.sparkSession
     asks = q.select(F.col("qid").cast("long"), F.col("vec").cast("array<double>"))
@@ -408,7 +479,7 @@ def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bo
     def found_by(got) -> DataFrame:
         sent = spark.sparkContext.broadcast((got["qid"].to_numpy(), np.stack(got["vec"].to_numpy())))
 
-        def run(batches):
+        def run(batches, part):
             qids, qs = sent.value
             for rows in batches:
                 for i in range(rows.num_rows):
@@ -417,12 +488,16 @@ def search_index(index: DataFrame, q: DataFrame, k: int, window: int, rerank: bo
                     row = {"second": None} | {c: (v.as_buffer() if v.is_valid else None) if pa.types.is_binary(v.type) else v.as_py() for c, v in row.items()}
                     ids, g = _open(row)
                     g = g.carry() if carry else g
-                    for at in range(0, len(qs), batch):
+                    for at in range(part * batch, len(qs), parts * batch):
                         found, val, hops, evals = g.search(qs[at : at + batch], min(k, len(ids)), window, visited=visited, rerank=rerank)
                         r, c = np.nonzero(found >= 0)
                         yield pa.RecordBatch.from_arrays([pa.array(qids[at : at + batch][r]), pa.array(ids[found[r, c]]), pa.array(val[r, c]), pa.array(np.where(c == 0, hops[r], 0)), pa.array(np.where(c == 0, evals[r], 0))], ["qid", "id", "score", "hops", "evals"])
 
-        return index.select(*columns).mapInArrow(run, "qid long, id long, score double, hops long, evals long")
+        out = None
+        for part in range(parts):
+            one = index.select(*columns).mapInArrow(partial(run, part=part), "qid long, id long, score double, hops long, evals long")
+            out = one if out is None else out.union(one)
+        return out
 
     found = None
     for block in range(blocks):

@@ -52,12 +52,18 @@ def plan(n: int, d: int, kind: str = "l2", memory_bytes: int | None = None, sele
 
 
 def choose_window(index: DataFrame, q: DataFrame, truth: DataFrame, target: float, k: int = 10, most: int = 512) -> DataFrame:
-    """(window, recall, chosen) of each try: doubling up to the target, then halving the interval; none is chosen if ``most`` does not reach it."""
+    """(window, recall, chosen) of each try: doubling up to the target, then halving the interval; none is chosen if ``most`` does not reach it.
+
+    ``index`` is read by every try, so it should be a stored table. With fewer
+    shards than cores, several tasks share the queries of a shard.
+    """
     tried: dict[int, float] = {}
+    cores = q.sparkSession.sparkContext.defaultParallelism
+    parts = max(1, min(-(-q.count() // shard.QUERY_BATCH), -(-cores // max(1, index.select("shard").count()))))
 
     def recall(w: int) -> float:
         if w not in tried:
-            tried[w] = measures.recall(shard.search_index(index, q, k, w), truth, k).first()["recall"]
+            tried[w] = measures.recall(shard.search_index(index, q, k, w, parts=parts), truth, k).first()["recall"]
         return tried[w]
 
     high = k
